@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontamination, licenses, line_chunks, line_quality, mixing, sentence_spans, simhash, suffix_blocks
+from . import decontamination, licenses, line_chunks, line_quality, mixing, sentence_spans, simhash, suffix_blocks, surrogates, url_trust
 from .common import table
 
 
@@ -13,6 +13,15 @@ def op4_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontamination.find_contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("hit_spans")
 
 
+def op1_url_trust(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_trust.judge_urls(table(spark, sf_dir, "pages"))
+
+
+def op2_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = surrogates.replace_entities(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return found.select("doc_id", F.col("pi_found").alias("n_replaced"), "text")
+
+
 def op3_sentence_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Runs of two sentences and twelve words: a passage of 50 words may have no third full sentence."""
     found = sentence_spans.drop_repeated_spans(table(spark, sf_dir, "documents").select("doc_id", "text"), 2, 12)
@@ -47,7 +56,7 @@ def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op3_sentence_spans, op4_decontaminate, op5_suffix_dedup, op6_line_quality, op7_simhash, op8_line_chunks, op9_mixture, op10_license_scan)}
+    return {f.__name__: f for f in (op1_url_trust, op2_surrogates, op3_sentence_spans, op4_decontaminate, op5_suffix_dedup, op6_line_quality, op7_simhash, op8_line_chunks, op9_mixture, op10_license_scan)}
 
 
 def oracle_sql() -> dict[str, str]:
