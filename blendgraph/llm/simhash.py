@@ -16,6 +16,8 @@ from .components import connected_components
 
 SEED = 42
 PIECE = 1 << 15
+#: Blocks of up to so many values are compared in full, larger ones by a spanning forest.
+SMALL = 32
 
 
 def fingerprint(text: bytes, width: int = 4) -> int:
@@ -50,13 +52,13 @@ def block_masks(max_bits: int, n: int) -> list[int]:
     """Masks such that two values that differ in max_bits bits or fewer agree under one of them.
 
     The 64 bits are cut into max_bits + r pieces. max_bits differing bits touch max_bits pieces at most, so r others
-    agree: a mask for each choice of r pieces. r grows until a mask has as many bits as n values need to part.
+    agree: a mask for each choice of r pieces. r grows until blocks of n evenly spread values hold 16 on average.
     """
     for r in range(1, 65 - max_bits):
         cuts = [round(64 * i / (max_bits + r)) for i in range(max_bits + r + 1)]
         pieces = [((1 << b) - 1) ^ ((1 << a) - 1) for a, b in zip(cuts, cuts[1:])]
         masks = [sum(c) for c in combinations(pieces, r)]
-        if min(m.bit_count() for m in masks) >= n.bit_length() or r >= 4:
+        if min(m.bit_count() for m in masks) + 4 >= n.bit_length() or r >= 4:
             return masks
     return masks
 
@@ -65,6 +67,11 @@ def signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
+def distance(a: np.ndarray, b) -> np.ndarray:
+    """Differing bits. As unsigned: bitwise_count would take a negative number's absolute value."""
+    return np.bitwise_count((a ^ b).view(np.uint64))
+
+
 def forest(group: np.ndarray, max_bits: int) -> list[tuple[int, int]]:
     """Edges that span the components of one block: each value is compared with those not yet reached."""
     edges, left = [], group
@@ -72,7 +79,7 @@ def forest(group: np.ndarray, max_bits: int) -> list[tuple[int, int]]:
         front, left = [left[0]], left[1:]
         while front and len(left):
             x = front.pop()
-            near = np.bitwise_count(left ^ x) <= max_bits
+            near = distance(left, x) <= max_bits
             if near.any():
                 edges += [(int(x), int(y)) for y in left[near]]
                 front += list(left[near])
@@ -94,11 +101,17 @@ def _block_edges(max_bits: int):
         cut = np.flatnonzero((rows[1:, :2] != rows[:-1, :2]).any(axis=1)) + 1
         bounds = np.concatenate([[0], cut, [len(rows)] if ended else []]).astype(int)
         sizes = np.diff(bounds)
-        at = bounds[:-1][sizes == 2]
-        x, y = rows[at, 2], rows[at + 1, 2]
-        near = np.bitwise_count(x ^ y) <= max_bits
-        edges = [(x[near], y[near])]
-        for a, b in zip(bounds[:-1][sizes > 2], bounds[1:][sizes > 2]):
+        edges = [(rows[:0, 2], rows[:0, 2])]
+        # small blocks all at once: each value with those up to SMALL - 1 places further on in its block
+        end = np.repeat(bounds[1:], sizes)
+        at = np.flatnonzero(np.repeat((sizes > 1) & (sizes <= SMALL), sizes))
+        for d in range(1, SMALL):
+            at = at[at + d < end[at]]
+            if not len(at):
+                break
+            near = at[distance(rows[at, 2], rows[at + d, 2]) <= max_bits]
+            edges.append((rows[near, 2], rows[near + d, 2]))
+        for a, b in zip(bounds[:-1][sizes > SMALL], bounds[1:][sizes > SMALL]):
             if found := forest(rows[a:b, 2], max_bits):
                 edges.append(tuple(np.array(found, np.int64).T))
         a, b = (np.concatenate(z) for z in zip(*edges))
@@ -154,7 +167,7 @@ def near_duplicates(docs: DataFrame, width: int = 4, max_bits: int = 4, largest_
     return each.join(rooted.join(least, "root").select("fp", "component_id"), "fp", "left").select("doc_id", "fp", "component_id")
 
 
-def keep_one_each(docs: DataFrame, width: int = 5, max_bits: int = 4) -> DataFrame:
+def keep_one_each(docs: DataFrame, width: int = 5, max_bits: int = 6) -> DataFrame:
     """docs, all columns, with the smallest doc_id of each group. Rows without a doc_id stay; of rows that share one, all stay."""
     losers = near_duplicates(docs, width, max_bits).filter("doc_id <> component_id").select("doc_id").distinct()
     return docs.join(losers, "doc_id", "left_anti").select(*docs.columns)

@@ -31,7 +31,7 @@ def plain_components(ids, values, max_bits):
     return {d: least[find(i)] for i, d in enumerate(ids)}
 
 
-def corpus(n=160, seed=3):
+def corpus(n=220, seed=3):
     r = random.Random(seed)
     vocabulary = [f"w{i}" for i in range(300)] + ["Äpfel", "日本"]
     base = [[r.choice(vocabulary) for _ in range(r.randint(30, 120))] for _ in range(n // 4)]
@@ -59,6 +59,19 @@ def test_components_against_all_pairs(spark):
         assert got == want
 
 
+def test_large_blocks_against_all_pairs(spark):
+    """One centre with many values around it: blocks above SMALL, by forest, and by midpoints."""
+    r = random.Random(11)
+    centres = [r.getrandbits(64) for _ in range(3)]
+    values = list({simhash.signed(c ^ sum(1 << b for b in r.sample(range(64), r.randint(0, 5)))) for c in centres for _ in range(70)})
+    df = spark.createDataFrame([(v,) for v in values], "fp long")
+    want = plain_components(values, [v & (2**64 - 1) for v in values], 4)
+    for largest in (20_000, 40):
+        edges = simhash.hamming_edges(df, 4, largest)
+        roots = {x.node: x.root for x in simhash.connected_components(edges).collect()}
+        assert {v: roots.get(v, v) for v in values} == want
+
+
 def test_midpoints_for_odd_limits(spark):
     r = np.random.default_rng(1)
     centre = int(r.integers(-(1 << 62), 1 << 62))
