@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontamination, licenses, line_chunks, line_quality, mixing, sentence_spans, simhash, suffix_blocks, surrogates, url_trust
+from . import decontamination, licenses, line_chunks, line_quality, mixing, sentence_spans, simhash, sql, suffix_blocks, surrogates, url_trust
 from .common import table
 
 
@@ -60,4 +60,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return sql.oracle_sql()
