@@ -44,8 +44,9 @@ def plan_mixture(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), share: f
     SPREAD splits a source whose documents all have one size.
 
     Null or empty text: size 0, still counted as a position. Null source: a source of its own. Repeated rows:
-    each its own document. Empty table: no rows. Columns whose names start with mx_ are replaced.
+    each its own document. Empty table: no rows. Columns whose names start with mx_ are dropped.
     """
+    docs = docs.drop(*[c for c in docs.columns if c.startswith("mx_")])
     n = spaced_words(F.col("text")) if size is None else size
     d = docs.withColumn("mx_size", n).withColumn("mx_source", F.col("source"))
     bits = F.length(F.bin("mx_size"))
@@ -63,13 +64,13 @@ def plan_mixture(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), share: f
     offset = draw32(F.coalesce(F.col("d.mx_source"), F.lit("")), seed) / F.lit(4294967296.0)
     at = F.col("mx_before") + F.col("mx_row")
     copies = F.floor(offset + F.col("mx_rate") * at) - F.floor(offset + F.col("mx_rate") * (at - 1))
-    extra = {"mx_size", "mx_source_size", "mx_target", "mx_copies"}
-    keep = [F.col(f"d.`{c}`") for c in docs.columns if c not in extra]
+    keep = [F.col(f"d.`{c}`") for c in docs.columns]
     return joined.select(*keep, F.col("d.mx_size"), F.col("mx_source_size"), F.col("mx_target"), copies.cast("long").alias("mx_copies"))
 
 
 def mix(docs: DataFrame, **options) -> DataFrame:
     """The mixed documents: each row of docs as often as its copies, with mx_copy counting from 1."""
+    docs = docs.drop(*[c for c in docs.columns if c.startswith("mx_")])
     planned = plan_mixture(docs, **options).filter("mx_copies > 0")
     out = planned.withColumn("mx_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("mx_copies"))))
     return out.select(*docs.columns, "mx_copy")
