@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import written
+
 #: A line ends a chunk if the rolling hash of it and the line before is 0 in this modulus: chunks of four lines on average.
 MODULUS = 4
 
@@ -49,11 +51,12 @@ def repeated_chunks(rows: DataFrame, modulus: int = MODULUS) -> DataFrame:
     3. All other places are removed.
     """
     hashes = chunk_hashes(rows.select("lc_doc", "lc_row", "text"), modulus)
-    often = hashes.groupBy("lc_hash").agg(F.count("*").alias("lc_n")).filter("lc_n > 1")
+    # written first, so that both sides of the join come by an exchange and a frequent chunk's side can be split
+    often = written(hashes.groupBy("lc_hash").agg(F.count("*").alias("lc_n")).filter("lc_n > 1").select("lc_hash"), "chunk-hashes")
     places = hashes.join(often, "lc_hash", "left_semi").groupBy("lc_doc", "lc_row").agg(F.collect_set("lc_no").alias("lc_nos"))
     texts = chunk_columns(rows.join(places, ["lc_doc", "lc_row"]), modulus)
     texts = texts.select("lc_doc", "lc_row", F.explode("lc_nos").alias("lc_no"), "lc_lines", "lc_ends")
-    texts = texts.select("lc_doc", "lc_row", "lc_no", F.expr(f"array_join({chunk('lc_no')}, '\n')").alias("lc_text"))
+    texts = written(texts.select("lc_doc", "lc_row", "lc_no", F.expr(f"array_join({chunk('lc_no')}, '\n')").alias("lc_text")), "chunk-texts")
     first = texts.groupBy("lc_text").agg(F.min("lc_doc").alias("lc_first"), F.count("*").alias("lc_n")).filter("lc_n > 1")
     both = texts.join(first, "lc_text")
     # the places of one text in its first document: no more than the document has chunks
@@ -80,6 +83,8 @@ def drop_repeated_chunks(docs: DataFrame, modulus: int = MODULUS) -> DataFrame:
     text = F.when(F.col("lc_nos").isNull(), F.col("text")).otherwise(F.expr(f"array_join(flatten(transform({kept}, j -> {chunk('j')})), '\n')"))
     lines = F.expr(f"aggregate(lc_nos, 0, (n, j) -> n + size({chunk('j')}))")
     counts = [F.when(F.col("lc_nos").isNull(), 0).otherwise(x).cast("long").alias(f"lc_removed_{name}") for name, x in (("chunks", F.size("lc_nos")), ("lines", lines))]
-    done = d.select(*[text.alias(c) if c == "text" else F.col(f"`{c}`") for c in docs.columns], *counts)
+    # doc_id is read off lc_doc: with doc_id and text alone, the texts are dealt out once for both joins
+    named = {"text": text, "doc_id": F.col("lc_doc")}
+    done = d.select(*[named.get(c, F.col(f"`{c}`")).alias(c) for c in docs.columns], *counts)
     rest = docs.filter("doc_id IS NULL").select(*docs.columns, F.lit(0).cast("long").alias("lc_removed_chunks"), F.lit(0).cast("long").alias("lc_removed_lines"))
     return done.unionByName(rest)
