@@ -3,35 +3,40 @@ import re
 
 from blendgraph.llm import sentence_spans
 
-SPLIT = re.compile(r"(?<=[.!?…。！？])(?=\s)|(?<=[^.!?…。！？\s]\n)")
+SPLIT = re.compile(r"(?<=[.!?…])(?=[ \t\n\r\x0b\x0c])|(?<=[。！？])(?!$)|(?<=[^.!?…。！？ \t\n\r\x0b\x0c]\n)")
 
 
-def plain(rows, width, min_words):
-    pieces = {d: SPLIT.split(t or "") for d, t in rows}
-    at = {d: [i for i, x in enumerate(p) if re.sub(r"[\t\n\r ]", "", x)] for d, p in pieces.items()}
+def plain_pieces(text):
+    return [x for x in SPLIT.split(text) if x]
 
-    def runs(d):
-        s = [pieces[d][i].translate({9: 32, 10: 32, 13: 32}).strip(" ").lower() for i in at[d]]
-        for j in range(max(1, len(s) - width + 1) if s else 0):
-            run = tuple(s[j : j + width])
-            if sum(x.count(" ") + 1 for x in run) >= min_words:
-                yield j, run
 
+def plain(rows, width, min_words):
     seen, out = set(), {}
-    for d in sorted(pieces):
+    for d, t in sorted(rows):
+        p = plain_pieces(t)
+        at = [i for i, x in enumerate(p) if x.strip(" \t\n\r\x0b\x0c")]
+        s = [re.sub("[A-Z]", lambda m: m[0].lower(), p[i].strip(" \t\n\r\x0b\x0c")) for i in at]
         gone = set()
-        for j, run in runs(d):
-            if run in seen:
-                gone |= set(at[d][j : j + width])
-            seen.add(run)
-        out[d] = "".join(x for i, x in enumerate(pieces[d]) if i not in gone), len(gone)
+        for j in range(max(1, len(s) - width + 1) if s else 0):
+            run = tuple(s[j : j + width])
+            if sum(len(x.encode().split()) for x in run) >= min_words:
+                if run in seen:
+                    gone |= set(at[j : j + width])
+                seen.add(run)
+        out[d] = "".join(x for i, x in enumerate(p) if i not in gone), len(gone)
     return out
 
 
+def test_pieces():
+    for t in ("", "a", "A b. C d! E\nF\n\nG…\nH。I！J？", "Version 2.0. x@y.de?! Yes", "..\n.", "\n\n", "a \nb\n", "。"):
+        got = [t.encode()[a:b].decode() for a, b in sentence_spans.pieces(t.encode())]
+        assert got == plain_pieces(t) and "".join(got) == t
+
+
 def test_against_plain(spark):
     r = random.Random(4)
     word = lambda: "".join(r.choice("abcdeé") for _ in range(r.randint(1, 6)))
-    sentence = lambda: " ".join(word() for _ in range(r.randint(1, 12))).capitalize() + r.choice([".", "!", "?", "\n", ".\n", "。 "])
+    sentence = lambda: " ".join(word() for _ in range(r.randint(1, 12))).capitalize() + r.choice([".", "!", "?", "\n", ".\n", "。"])
     passages = [" ".join(sentence() for _ in range(r.randint(2, 7))) for _ in range(8)]
     texts = ["", "Short.", "Version 2.0. a.b@c.de\n\nNext"]
     for _ in range(60):
@@ -47,7 +52,6 @@ def test_against_plain(spark):
 def test_nulls_repeats_empty(spark):
     t = "One two three four five six. Seven eight nine ten eleven twelve. Thirteen."
     docs = spark.createDataFrame([(None, t), (1, None), (2, t), (2, t), (3, t)], "doc_id long, text string")
-    got = [(x.doc_id or 0, x.text, x.ss_removed) for x in sentence_spans.drop_repeated_spans(docs, 2, 8).collect()]
-    by = sorted((d, n) for d, _, n in got)
-    assert by == [(0, 0), (1, 0), (2, 0), (2, 0), (3, 2)]
+    got = sorted((x.doc_id or 0, x.ss_removed, x.text) for x in sentence_spans.drop_repeated_spans(docs, 2, 8).collect() if x.text)
+    assert got == [(0, 0, t), (2, 0, t), (2, 0, t), (3, 2, " Thirteen.")]
     assert sentence_spans.drop_repeated_spans(docs.limit(0)).collect() == []
