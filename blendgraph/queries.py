@@ -41,7 +41,7 @@ def _types(spark: SparkSession, sf_dir: str) -> DataFrame:
     return S.read_table(spark, sf_dir, "part").select(F.col("p_partkey").alias("node"), F.col("p_type").alias("label"))
 
 
-def _rounded(df: DataFrame, column: str, places: int = 8) -> DataFrame:
+def _rounded(df: DataFrame, column: str, places: int = 12) -> DataFrame:
     return df.withColumn(column, F.round(column, places))
 
 
@@ -134,7 +134,7 @@ def two_core(spark, sf_dir):
 
 
 def _first_nodes(spark: SparkSession, n: int) -> DataFrame:
-    return spark.range(1, n + 1).withColumnRenamed("id", "node")
+    return spark.range(n).withColumnRenamed("id", "node")
 
 
 def transition_power2(spark, sf_dir):
