@@ -38,7 +38,8 @@ def jaccard(edges: DataFrame, pairs: DataFrame) -> DataFrame:
 
 
 def adamic_adar(edges: DataFrame, pairs: DataFrame) -> DataFrame:
-    d = degrees(edges).select(F.col("node").alias("mid"), (1 / F.log(F.col("degree").cast("double"))).alias("w"))
+    # a common neighbour of two nodes has two neighbours or more
+    d = degrees(edges).filter("degree > 1").select(F.col("node").alias("mid"), (1 / F.log(F.col("degree").cast("double"))).alias("w"))
     return _scored(pairs, _shared(edges, pairs).join(d, "mid").groupBy("src", "dst").agg(F.sum("w").alias("score")))
 
 

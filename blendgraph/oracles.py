@@ -9,13 +9,13 @@ PLANTED = """p AS (SELECT p_partkey AS node, p_type AS kind FROM part),
         WHERE (7919 * a.node + 104729 * b.node) % 1009 < CASE WHEN a.kind = b.kind THEN 200 ELSE 8 END),
     edges AS (SELECT src, dst, CAST(1 AS DOUBLE) AS weight FROM half UNION ALL SELECT dst, src, CAST(1 AS DOUBLE) FROM half)"""
 CONTENT = """ranks AS (SELECT kind, row_number() OVER (ORDER BY kind) - 1 AS rank FROM (SELECT DISTINCT p_type AS kind FROM part)),
-    draws AS (SELECT p_partkey AS node, rank, ('0x' || substr(md5(p_partkey || '|' || t), 1, 12))::BIGINT AS h FROM part JOIN ranks ON kind = p_type, range(6) r(t)),
+    draws AS (SELECT p_partkey AS node, rank, ('0x' || substr(md5(p_partkey || '|' || t), 1, 8))::BIGINT AS h FROM part JOIN ranks ON kind = p_type, range(6) r(t)),
     content AS (SELECT DISTINCT node, CAST(CASE WHEN (h // 10) % 10 < 4 THEN rank * 10 + h % 10 ELSE h % 60 END AS INT) AS feature, CAST(1 AS DOUBLE) AS value FROM draws)"""
 TRANSITION = "t AS (SELECT src, dst, weight / sum(weight) OVER (PARTITION BY src) AS p FROM edges)"
 
 
 def draw(*parts: str) -> str:
-    return "('0x' || substr(md5(" + " || '|' || ".join(f"CAST({p} AS VARCHAR)" for p in parts) + "), 1, 12))::BIGINT"
+    return "('0x' || substr(md5(" + " || '|' || ".join(f"CAST({p} AS VARCHAR)" for p in parts) + "), 1, 8))::BIGINT"
 
 
 def unit(*parts: str) -> str:
