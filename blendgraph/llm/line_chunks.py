@@ -85,6 +85,7 @@ def drop_repeated_chunks(docs: DataFrame, modulus: int = MODULUS) -> DataFrame:
     counts = [F.when(F.col("lc_nos").isNull(), 0).otherwise(x).cast("long").alias(f"lc_removed_{name}") for name, x in (("chunks", F.size("lc_nos")), ("lines", lines))]
     # doc_id is read off lc_doc: with doc_id and text alone, the texts are dealt out once for both joins
     named = {"text": text, "doc_id": F.col("lc_doc")}
-    done = d.select(*[named.get(c, F.col(f"`{c}`")).alias(c) for c in docs.columns], *counts)
+    # by a generator, through which no later filter is pushed: inside it, lines would be split anew for each of them
+    done = d.select(F.inline(F.array(F.struct(*[named.get(c, F.col(f"`{c}`")).alias(c) for c in docs.columns], *counts))))
     rest = docs.filter("doc_id IS NULL").select(*docs.columns, F.lit(0).cast("long").alias("lc_removed_chunks"), F.lit(0).cast("long").alias("lc_removed_lines"))
     return done.unionByName(rest)

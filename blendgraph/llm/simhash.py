@@ -52,13 +52,13 @@ def block_masks(max_bits: int, n: int) -> list[int]:
     """Masks such that two values that differ in max_bits bits or fewer agree under one of them.
 
     The 64 bits are cut into max_bits + r pieces. max_bits differing bits touch max_bits pieces at most, so r others
-    agree: a mask for each choice of r pieces. r grows until blocks of n evenly spread values hold 16 on average.
+    agree: a mask for each choice of r pieces. r grows until blocks of n evenly spread values hold 4 on average.
     """
     for r in range(1, 65 - max_bits):
         cuts = [round(64 * i / (max_bits + r)) for i in range(max_bits + r + 1)]
         pieces = [((1 << b) - 1) ^ ((1 << a) - 1) for a, b in zip(cuts, cuts[1:])]
         masks = [sum(c) for c in combinations(pieces, r)]
-        if min(m.bit_count() for m in masks) + 4 >= n.bit_length() or r >= 4:
+        if min(m.bit_count() for m in masks) + 2 >= n.bit_length() or r >= 4:
             return masks
     return masks
 
