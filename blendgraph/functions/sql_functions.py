@@ -5,6 +5,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import arrow_udf, udtf
 
 EXPRESSIONS = {
@@ -21,25 +22,25 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return np.array(column.to_pylist(), float)
 
 
-@arrow_udf("double")
+@arrow_udf(T.DoubleType())
 def arrow_dot(a: pa.Array, b: pa.Array) -> pa.Array:
     return pa.array(np.einsum("ij,ij->i", _matrix(a), _matrix(b)))
 
 
-@arrow_udf("double")
+@arrow_udf(T.DoubleType())
 def arrow_cosine(a: pa.Array, b: pa.Array) -> pa.Array:
     x, y = _matrix(a), _matrix(b)
     length = np.linalg.norm(x, axis=1) * np.linalg.norm(y, axis=1)
     return pa.array(np.where(length > 0, np.einsum("ij,ij->i", x, y) / np.where(length > 0, length, 1), 0.0))
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
 def arrow_vec_sum(v: pd.Series) -> list:
     """The sum of a group's arrays, in one place: for small groups. factorize.vec_sum sums on each task first."""
     return np.stack(v.to_list()).sum(axis=0).tolist() if len(v) else []
 
 
-@udtf(returnType="node long, context long, gap int")
+@udtf(returnType=T.StructType([T.StructField("node", T.LongType()), T.StructField("context", T.LongType()), T.StructField("gap", T.IntegerType())]))
 class PairsInWindow:
     """pairs_in_window(path, window): the ordered pairs of a path at most window places apart."""
 
@@ -49,7 +50,7 @@ class PairsInWindow:
                 yield node, path[i + gap], gap
 
 
-@udtf(returnType="position int, node long")
+@udtf(returnType=T.StructType([T.StructField("position", T.IntegerType()), T.StructField("node", T.LongType())]))
 class WalkFrom:
     """walk_from(start, neighbours by node as a map of arrays, length, seed): one walk over a small graph."""
 

@@ -14,13 +14,18 @@ from ..config import WalkConfig
 from ..cooccur import count_pairs, merge_counts
 
 
+def _watermarked(events: DataFrame, watermark: str | None) -> DataFrame:
+    """With a watermark, ts is read as a time of the session's zone: the engine has none on times without a zone."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", watermark) if watermark else events
+
+
 def session_walks(events: DataFrame, gap: str = "30 minutes", node: str = "node", watermark: str | None = None) -> DataFrame:
     """events(user_id, ts, event_id, node) -> walks(walk_id, user_id, start, path): a user's nodes in order, cut at gaps.
 
     Works on tables and, with a watermark, on streams: rows later than it are dropped by the engine and counted in its
     progress reports.
     """
-    e = events.withWatermark("ts", watermark) if watermark else events
+    e = _watermarked(events, watermark)
     s = e.groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.sort_array(F.collect_list(F.struct("ts", "event_id", node))).alias("l"))
     start = F.col("w.start")
     return s.select(F.xxhash64("user_id", start).alias("walk_id"), "user_id", start.alias("start"), F.expr(f"transform(l, x -> x.{node})").alias("path"))
@@ -28,7 +33,7 @@ def session_walks(events: DataFrame, gap: str = "30 minutes", node: str = "node"
 
 def window_counts(events: DataFrame, width: str = "1 hour", slide: str | None = None, watermark: str | None = None) -> DataFrame:
     """Events and sum of value of each type in tumbling, or with slide sliding, windows."""
-    e = events.withWatermark("ts", watermark) if watermark else events
+    e = _watermarked(events, watermark)
     w = F.window("ts", width, slide) if slide else F.window("ts", width)
     g = e.groupBy(w.alias("w"), "event_type").agg(F.count("*").alias("n"), F.sum("value").alias("total"))
     return g.select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "event_type", "n", "total")
