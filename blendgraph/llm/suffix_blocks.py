@@ -266,13 +266,14 @@ def repeated_suffixes(rows: DataFrame, length: int = 200, gram: int = GRAM, larg
        anchor's bucket, and the suffixes are sorted there.
     4. A bucket of over `largest` runs is not sorted in one task: its suffixes are dealt out by hash and counted.
     """
-    anchors = all_runs(rows, length, gram, False).groupBy("sb_anchor").agg(F.count("*").alias("sb_n")).filter("sb_n > 1").select("sb_anchor")
+    # written first, so that both sides of the join come by an exchange and a frequent anchor's side can be split
+    anchors = written(all_runs(rows, length, gram, False).groupBy("sb_anchor").agg(F.count("*").alias("sb_n")).filter("sb_n > 1").select("sb_anchor"), "anchors")
     runs = written(all_runs(rows, length, gram, True).join(anchors, "sb_anchor", "left_semi"), "runs")
     key = ["sb_anchor", "sb_f1", "sb_f2"]
     place = ["sb_doc", "sb_row", "sb_start", "sb_count"]
     classes = runs.groupBy(*key).agg(F.count("*").alias("sb_n"), F.min(F.struct(*place)).alias("sb_one"))
     copied = runs.join(classes.filter("sb_n > 1").select(*key), key, "left_semi").select(*place)
-    mixed = classes.groupBy("sb_anchor").agg(F.count("*").alias("sb_classes"), F.min("sb_n").alias("sb_least")).filter("sb_classes > 1 AND sb_least = 1")
+    mixed = written(classes.groupBy("sb_anchor").agg(F.count("*").alias("sb_classes"), F.min("sb_n").alias("sb_least")).filter("sb_classes > 1 AND sb_least = 1"), "mixed-anchors")
     one = classes.join(mixed.select("sb_anchor", "sb_classes"), "sb_anchor").select("sb_one.*", "sb_anchor", "sb_classes")
     wanted = one.groupBy("sb_doc", "sb_row").agg(F.collect_list(F.struct("sb_start", "sb_count", "sb_anchor", "sb_classes")).alias("sb_runs"))
     texts = rows.join(wanted, ["sb_doc", "sb_row"])
