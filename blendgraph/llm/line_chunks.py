@@ -57,7 +57,7 @@ def repeated_chunks(rows: DataFrame, modulus: int = MODULUS) -> DataFrame:
     texts = chunk_columns(rows.join(places, ["lc_doc", "lc_row"]), modulus)
     texts = texts.select("lc_doc", "lc_row", F.explode("lc_nos").alias("lc_no"), "lc_lines", "lc_ends")
     texts = written(texts.select("lc_doc", "lc_row", "lc_no", F.expr(f"array_join({chunk('lc_no')}, '\n')").alias("lc_text")), "chunk-texts")
-    first = texts.groupBy("lc_text").agg(F.min("lc_doc").alias("lc_first"), F.count("*").alias("lc_n")).filter("lc_n > 1")
+    first = written(texts.groupBy("lc_text").agg(F.min("lc_doc").alias("lc_first"), F.count("*").alias("lc_n")).filter("lc_n > 1").select("lc_text", "lc_first"), "first-places")
     both = texts.join(first, "lc_text")
     # the places of one text in its first document: no more than the document has chunks
     own = both.filter("lc_doc = lc_first").groupBy("lc_doc", "lc_text").agg(F.sort_array(F.collect_set(F.struct("lc_row", "lc_no"))).alias("x"))
