@@ -132,7 +132,8 @@ def hamming_edges(values: DataFrame, max_bits: int = 4, largest_block: int = 20_
     masks = block_masks(max_bits, values.count())
     keys = F.array(*[F.struct(F.lit(i).cast("long").alias("t"), F.col("fp").bitwiseAND(F.lit(signed(m))).alias("k")) for i, m in enumerate(masks)])
     rows = values.select("fp", F.explode(keys).alias("x")).select("x.t", "x.k", "fp")
-    sizes = rows.groupBy("t", "k").agg(F.count("*").alias("n")).filter("n > 1")
+    # written first, so that both sides of the join come by an exchange and a large block's side can be split
+    sizes = written(rows.groupBy("t", "k").agg(F.count("*").alias("n")).filter("n > 1"), "block-sizes")
     met = written(rows.join(sizes, ["t", "k"]), "blocks")
     small = met.filter(F.col("n") <= largest_block).select("t", "k", "fp").repartition("t", "k").sortWithinPartitions("t", "k", "fp")
     edges = small.mapInArrow(_block_edges(max_bits), "a long, b long")
@@ -162,7 +163,8 @@ def near_duplicates(docs: DataFrame, width: int = 4, max_bits: int = 4, largest_
     values = written(each.groupBy("fp").agg(F.min("doc_id").alias("least")), "values")
     roots = connected_components(hamming_edges(values.select("fp"), max_bits, largest_block))
     rooted = values.join(roots.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    least = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
+    rooted = written(rooted.select("fp", "least", "root"), "rooted")
+    least = written(rooted.groupBy("root").agg(F.min("least").alias("component_id")), "least")
     # AQE splits the documents of a large group over tasks: each value has one row on the other side
     return each.join(rooted.join(least, "root").select("fp", "component_id"), "fp", "left").select("doc_id", "fp", "component_id")
 
