@@ -26,8 +26,7 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies stays, the one with the smallest doc_id: fingerprints of five-word
-    shingles, linked up to 6 bits. In a tenth of a GB, of pairs with a Jaccard similarity of 0.95 most are within that,
-    of pairs at 0.8, which differ in 9 bits on average, few."""
+    shingles, linked up to 6 bits. Of pairs at a Jaccard similarity of 0.8, which differ in 9 bits on average, few are."""
     return simhash.keep_one_each(docs, width=5, max_bits=6)
 
 
