@@ -272,7 +272,7 @@ def repeated_suffixes(rows: DataFrame, length: int = 200, gram: int = GRAM, larg
     key = ["sb_anchor", "sb_f1", "sb_f2"]
     place = ["sb_doc", "sb_row", "sb_start", "sb_count"]
     classes = runs.groupBy(*key).agg(F.count("*").alias("sb_n"), F.min(F.struct(*place)).alias("sb_one"))
-    copied = runs.join(classes.filter("sb_n > 1").select(*key), key, "left_semi").select(*place)
+    copied = runs.join(written(classes.filter("sb_n > 1").select(*key), "copied-classes"), key, "left_semi").select(*place)
     mixed = written(classes.groupBy("sb_anchor").agg(F.count("*").alias("sb_classes"), F.min("sb_n").alias("sb_least")).filter("sb_classes > 1 AND sb_least = 1"), "mixed-anchors")
     one = classes.join(mixed.select("sb_anchor", "sb_classes"), "sb_anchor").select("sb_one.*", "sb_anchor", "sb_classes")
     wanted = one.groupBy("sb_doc", "sb_row").agg(F.collect_list(F.struct("sb_start", "sb_count", "sb_anchor", "sb_classes")).alias("sb_runs"))
