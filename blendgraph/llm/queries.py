@@ -42,7 +42,7 @@ def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_line_chunks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = line_chunks.drop_repeated_chunks(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    found = line_chunks.drop_repeated_chunks(table(spark, sf_dir, "documents").select("doc_id", "text"), runs=True)
     return found.select("doc_id", F.col("lc_removed_chunks").alias("n_removed_chunks"), F.col("lc_removed_lines").alias("n_removed_lines"), "text")
 
 

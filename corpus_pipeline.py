@@ -17,10 +17,10 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Chunks of lines that stand elsewhere before go; documents of which nothing is left go. n_chars is counted anew."""
-    d = line_chunks.drop_repeated_chunks(docs)
-    changed = d.filter(F.expr("lc_removed_chunks = 0 OR length(trim(text)) > 0"))
-    n = F.when(F.col("lc_removed_chunks") > 0, F.length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType)
+    """Chunks and other runs of lines that stand elsewhere before go; documents of which nothing is left go. n_chars is counted anew."""
+    d = line_chunks.drop_repeated_chunks(docs, runs=True)
+    changed = d.filter(F.expr("lc_removed_lines = 0 OR length(trim(text)) > 0"))
+    n = F.when(F.col("lc_removed_lines") > 0, F.length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType)
     return changed.withColumn("n_chars", n).select(*docs.columns)
 
 

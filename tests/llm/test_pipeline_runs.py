@@ -1,0 +1,26 @@
+"""The pipeline against plain Python, with the line stage that also removes runs which hold no whole chunk."""
+
+from . import test_line_runs as runs
+from . import test_pipeline as chunked
+
+
+def plain_lines(rows):
+    cleaned = runs.plain_runs([(d, t) for d, t, *_ in rows])
+    out = []
+    for d, t, lang, source, n in rows:
+        text, _, removed = cleaned[d, t]
+        if not removed or text.strip(" "):
+            out.append((d, text, lang, source, len(text) if removed else n))
+    return out
+
+
+def test_pipeline_with_runs_against_plain(spark, tmp_path):
+    items, rows = chunked.corpus()
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    docs.write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame(items, "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    want = chunked.plain_quality(rows)
+    assert sum(len(r[1]) for r in plain_lines(want)) < sum(len(r[1]) for r in chunked.plain_lines(want))
+    want = chunked.plain_clean(chunked.plain_near(plain_lines(want)), items)
+    key = lambda x: tuple(str(v) for v in x)
+    assert sorted(map(tuple, chunked.pipeline.run(spark, str(tmp_path)).collect()), key=key) == sorted(chunked.plain_mix(want), key=key)
