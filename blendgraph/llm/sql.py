@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .licenses import NOTICES, PHRASES
+from .licenses import NOTICES, PHRASES, SLACK
 from .line_quality import BOILERPLATE, LineRules
 from .url_trust import LOWERED, RULES, UNIT, UPPER
 
@@ -95,13 +95,14 @@ MIXTURE = f"""WITH d AS (SELECT doc_id, source, CAST(coalesce(len(regexp_extract
 def license_scan(threshold: float = 0.8) -> str:
     notices = ", ".join(f"('{label}', '{text}')" for label, text in NOTICES.items())
     phrases = ", ".join(f"('{label}', ['{phrase.replace(' ', chr(39) + ', ' + chr(39))}'])" for phrase, label in PHRASES.items())
-    return f"""WITH t AS (SELECT label, list_distinct({words('text')}) AS s FROM (VALUES {notices}) v(label, text)),
+    return f"""WITH t AS (SELECT label, list_distinct({words('text')}) AS s, CAST(ceil(len({words('text')}) * {SLACK}) AS BIGINT) AS width FROM (VALUES {notices}) v(label, text)),
         f AS (SELECT * FROM (VALUES {phrases}) v(label, p)),
         d AS (SELECT row_number() OVER () AS rid, doc_id, text, {words('text')} AS w FROM documents),
         b AS (SELECT rid, label, i - 1 AS pos FROM (SELECT rid, w, label, p, unnest(range(1, len(w) - len(p) + 2)) AS i FROM d, f WHERE list_has_all(w, p)) WHERE w[i:i + len(p) - 1] = p),
         base AS (SELECT rid, count(*) AS n, min(pos) AS a, max(pos) AS z FROM b GROUP BY rid),
-        l AS (SELECT rid, list_distinct({words('line')}) AS s FROM (SELECT rid, unnest(string_split(text, chr(10))) AS line FROM d)),
-        m AS (SELECT rid, label, len(list_intersect(l.s, t.s)) AS shared, len(t.s) AS n FROM l, t WHERE list_has_any(l.s, t.s)),
+        x AS (SELECT rid, w, t.* FROM (SELECT rid, w, list_distinct(w) AS u FROM d) q, t WHERE len(list_intersect(u, s)) >= ceil({threshold} * len(s) - 1e-9)),
+        p AS MATERIALIZED (SELECT rid, label, len(s) AS n, width, i, w[i] AS token FROM (SELECT *, unnest(range(1, len(w) + 1)) AS i FROM x) WHERE list_contains(s, w[i])),
+        m AS (SELECT a.rid, a.label, a.n, a.i, count(DISTINCT z.token) AS shared FROM p a JOIN p z ON a.rid = z.rid AND a.label = z.label AND z.i BETWEEN a.i AND a.i + a.width - 1 GROUP BY ALL),
         c AS (SELECT rid, label, shared / n AS share FROM m WHERE shared >= ceil({threshold} * n - 1e-9)),
         best AS (SELECT rid, max(share) AS share FROM c GROUP BY rid),
         bl AS (SELECT rid, string_agg(label, ',' ORDER BY label) AS labels FROM (SELECT DISTINCT rid, label FROM b) GROUP BY rid),

@@ -1,8 +1,10 @@
 """Quality rules, decontamination, mixing, licenses and URL trust against plain Python, and their edge cases."""
 
 import hashlib
+import math
 import random
 import re
+import textwrap
 from collections import Counter
 
 import duckdb
@@ -153,15 +155,43 @@ def test_license_join_against_plain(spark):
         base = sorted(k for k, v in at.items() if v)
         starts = sorted(i for v in at.values() for i in v)
         share = {}
-        for line in (texts[x.doc_id] or "").split("\n"):
-            for k, s in sets.items():
-                if (c := len(s & set(plain_words(line))) / len(s)) >= 0.8 - 1e-9:
-                    share[k] = max(c, share.get(k, 0))
+        for k, s in sets.items():
+            width = math.ceil(1.25 * len(plain_words(licenses.NOTICES[k])))
+            c = max((len(s & set(w[i : i + width])) / len(s) for i in range(len(w))), default=0)
+            if c >= 0.8 - 1e-9:
+                share[k] = c
         want = len(w), len(starts), starts[0] if starts else None, starts[-1] if starts else None, ",".join(base), ",".join(sorted({*base, *share})), 1.0 if base else max(share.values(), default=0.0)
         assert (x.n_words, x.n_base, x.first_word, x.last_word, x.base_labels, x.labels, x.score) == want
     assert licenses.scan_licenses(docs.limit(0)).collect() == []
 
 
+def test_wrapped_and_commented_headers(spark):
+    wrapped = {k: textwrap.fill(t, 78) for k, t in licenses.NOTICES.items()}
+    rest = "some words of code before\nand after " * 40
+    texts = [f"{rest}\n{t}\n{rest}" for t in wrapped.values()]
+    texts += [rest + "".join(f"\n{mark} {line}" for line in t.split("\n")) + "\n" + rest for mark, t in zip(["#", "//", " *"] * 9, wrapped.values())]
+    texts += [" ".join(x + " odd" * 9 for x in licenses.NOTICES["mit-header"].split()), None]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: r for r in licenses.scan_licenses(docs).collect()}
+    names = list(wrapped)
+    for i in range(2 * len(names)):
+        assert names[i % len(names)] in got[i].labels.split(","), names[i % len(names)]
+        a, b = next(x for x in got[i].blocks if x.endswith(":" + names[i % len(names)])).split(":")[0].split("-")
+        assert set(plain_words(texts[i])[int(a) : int(b) + 1]) >= set(plain_words(licenses.NOTICES[names[i % len(names)]]))
+    assert got[len(texts) - 2].labels == got[len(texts) - 1].labels == ""
+
+
+def test_long_texts_are_read_in_pieces(spark, monkeypatch):
+    text = "word " * 50 + licenses.NOTICES["gpl-header"] + " word" * 30 + licenses.NOTICES["mit"]
+    whole = licenses.NoticeIndex(licenses.NOTICES, {}, 0.8)
+    normal = licenses.normal_words(text.encode())
+    want = {x[0] for x in whole.matches(normal.split())}
+    monkeypatch.setattr(licenses, "PIECE", 64)
+    cut = list(licenses.pieces(normal, whole.widest))
+    assert len(cut) > 5 and {x[0] for _, words in cut for x in whole.matches(words)} == want >= {"gpl-header", "mit"}
+    assert all(normal.split()[n : n + len(w)] == w for n, w in cut)
+
+
 def test_url_trust_against_sql(spark):
     link = lambda *hosts: " ".join(f'<a class=x href="{h}">y</a>' for h in hosts)
     pages = [
