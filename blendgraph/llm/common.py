@@ -23,24 +23,33 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or one set here where it is unset (tests)."""
+    """The folder all executors share: spark.checkpoint.dir, or in local mode (tests) one set here where it is unset."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         jsc = spark.sparkContext._jsc.sc()
         if jsc.getCheckpointDir().isEmpty():
+            if not spark.sparkContext.master.startswith("local"):
+                raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
             spark.sparkContext.setCheckpointDir("/tmp/blendgraph-checkpoints")
         found = jsc.getCheckpointDir().get()
     return found.rstrip("/")
 
 
 def written(df: DataFrame, name: str) -> DataFrame:
-    """Write df to the shared folder and read it again: cuts the lineage, survives lost executors."""
+    """Write df to the shared folder and read it again: cuts the lineage, survives lost executors. What is written goes
+    when the driver ends, as results read it until then."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/blendgraph/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
+    delete_at_end(spark, path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def delete_at_end(spark: SparkSession, path: str) -> None:
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(where)
+
+
 def utf8(column: pa.Array) -> list[bytes | None]:
     """The column's texts as bytes; null stays None."""
     return column.cast(pa.large_binary()).to_pylist()

@@ -8,7 +8,7 @@ import pytest
 
 from blendgraph.llm import line_quality
 
-from . import test_line_chunks as chunks
+from . import test_line_runs as runs
 from . import test_scans as scans
 from . import test_simhash as sim
 
@@ -21,7 +21,7 @@ def corpus(seed=6):
     sentence = lambda: (" ".join(word() for _ in range(r.randint(6, 16))) + ".").capitalize()
     shared = ["\n".join(sentence() for _ in range(14)) for _ in range(3)]
     items = [(i, " ".join(word() for _ in range(18))) for i in range(4)]
-    rows = []
+    rows, long = [], []
     for i in range(140):
         lines = [sentence() for _ in range(r.randint(2, 9))]
         kind = r.random()
@@ -31,7 +31,12 @@ def corpus(seed=6):
             lines.append(r.choice(items)[1] + ".")
         elif kind < 0.35:
             lines += ["home | about | news | contact"] * r.randint(1, 9)
-        elif kind < 0.5 and rows:
+        elif kind < 0.6 and long:
+            lines = [" ".join(word() if k == at else w for k, w in enumerate(x.split(" "))) for x in r.choice(long) for at in [r.randrange(60)]]
+        elif kind < 0.65:
+            lines = [" ".join(word() for _ in range(r.randint(80, 110))) + "." for _ in range(3)]
+            long.append(lines)
+        elif kind < 0.75 and rows:
             words = (r.choice(rows)[1] or "").split(" ")
             if len(words) > 60:
                 words[r.randrange(len(words))] = word()
@@ -55,18 +60,17 @@ def plain_quality(rows):
 
 
 def plain_lines(rows):
-    cleaned = chunks.plain([(d, t) for d, t, *_ in rows])
+    cleaned = runs.plain_runs([(d, t) for d, t, *_ in rows])
     out = []
     for d, t, lang, source, n in rows:
-        text, removed, _ = cleaned[d, t]
+        text, _, removed = cleaned[d, t]
         if not removed or text.strip(" "):
             out.append((d, text, lang, source, len(text) if removed else n))
     return out
 
 
 def plain_near(rows):
-    ids = [r[0] for r in rows]
-    kept = sim.plain_components(ids, [sim.plain_fingerprint(r[1], 5) for r in rows], 6)
+    kept = sim.plain_copies([r[0] for r in rows], [r[1] for r in rows])
     return [r for r in rows if kept[r[0]] == r[0]]
 
 
@@ -116,3 +120,12 @@ def test_stages_on_an_empty_table(spark, tmp_path):
     for _, stage in pipeline.STAGES:
         out = stage(spark, docs, str(tmp_path))
         assert out.collect() == [] and out.columns[:5] == docs.columns
+
+
+def test_tables_without_some_columns(spark, tmp_path):
+    """n_chars is no input of any stage but is kept right where it is there; nulls stay what they are."""
+    rows = [(i, "\n".join(f"This is line {j} of text {i}, which ends well and is long." for j in range(4)), "a" if i else None) for i in range(6)]
+    docs = spark.createDataFrame([*rows, (None, None, None), (None, rows[1][1], "a")], "doc_id long, text string, source string")
+    docs.write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([(1, "a")], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    assert set(pipeline.run(spark, str(tmp_path)).columns) == {*docs.columns, "mx_copy"}
