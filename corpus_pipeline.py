@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blendgraph.llm import decontamination, line_chunks, line_quality, mixing, simhash
-from blendgraph.llm.common import shared_folder, table
+from blendgraph.llm.common import delete_at_end, shared_folder, table
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -17,17 +17,19 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Chunks and other runs of lines that stand elsewhere before go; documents of which nothing is left go. n_chars is counted anew."""
+    """Chunks and other runs of lines that stand elsewhere before go; documents of which nothing is left go. n_chars, if
+    there, is counted anew."""
     d = line_chunks.drop_repeated_chunks(docs, runs=True)
-    changed = d.filter(F.expr("lc_removed_lines = 0 OR length(trim(text)) > 0"))
-    n = F.when(F.col("lc_removed_lines") > 0, F.length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType)
-    return changed.withColumn("n_chars", n).select(*docs.columns)
+    d = d.filter(F.expr("lc_removed_lines = 0 OR length(trim(text)) > 0"))
+    if "n_chars" in docs.columns:
+        d = d.withColumn("n_chars", F.when(F.col("lc_removed_lines") > 0, F.length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType))
+    return d.select(*docs.columns)
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies stays, the one with the smallest doc_id: fingerprints of five-word
-    shingles, linked up to 6 bits. Of pairs at a Jaccard similarity of 0.8, which differ in 9 bits on average, few are."""
-    return simhash.keep_one_each(docs, width=5, max_bits=6)
+    """One document of each group of near copies stays, the one with the smallest doc_id: five-word shingles of a
+    similarity of 0.8 or more, by SimHash blocks and the Hamming check."""
+    return simhash.keep_one_each(docs, width=5)
 
 
 def test_items(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -53,5 +55,6 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     for number, (_, stage) in enumerate(STAGES[:-1]):
         out = stage(spark, docs, sf_dir)
         out.write.parquet(f"{folder}/{number}")
+        delete_at_end(spark, f"{folder}/{number}")
         docs = spark.read.schema(out.schema).parquet(f"{folder}/{number}")
     return STAGES[-1][1](spark, docs, sf_dir)
