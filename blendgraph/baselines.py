@@ -23,12 +23,15 @@ from .proximity import two_hop_mean
 from .walks import sample_walks, sample_walks_biased
 
 
-def fit_walk_skipgram(walks: DataFrame, dim: int = 16, window: int = 5, seed: int = 7, max_iter: int = 1, parts: int = 1, step: float = 0.025) -> DataFrame:
-    """Skip-gram vectors of the nodes in walks."""
+def fit_walk_skipgram(walks: DataFrame, dim: int = 16, window: int = 5, seed: int = 7, max_iter: int = 1, parts: int | None = None, step: float = 0.025) -> DataFrame:
+    """Skip-gram vectors of the nodes in walks. parts tasks train side by side and are averaged after each pass; one for
+    each 50,000 walks unless told otherwise."""
     from pyspark.ml.feature import Word2Vec
     from pyspark.ml.functions import vector_to_array
 
     sentences = walks.select(F.expr("transform(path, x -> CAST(x AS STRING))").alias("s"))
+    if parts is None:
+        parts = max(1, walks.count() // 50_000)
     model = Word2Vec(vectorSize=dim, windowSize=window, minCount=0, inputCol="s", outputCol="v", seed=seed, maxIter=max_iter, numPartitions=parts, stepSize=step).fit(sentences)
     return model.getVectors().select(F.col("word").cast("long").alias("node"), vector_to_array("vector").alias("w"))
 
@@ -53,11 +56,11 @@ def fit_squared_content(edges: DataFrame, content: DataFrame, dim: int = 16, reg
     """
     spark = edges.sparkSession
     mean = settle(two_hop_mean(transition(edges)).select(F.col("src").alias("node"), F.col("dst").alias("context"), F.col("value").alias("cnt")), "two-hop")
-    ctx = gather_contexts(mean, content)
+    ctx = gather_contexts(mean, content, dim)
     if ctx is None or len(ctx.features) > 8000:
         raise ValueError("the content side is too large for the closed form")
     node_vec = settle(init_vectors(mean.select("node").distinct(), "node", "node", dim, dim**-0.5, seed), "nodes")
-    gram = _content_gram(ctx)
+    gram = _content_gram(content, ctx)
     s = _feature_solution(mean, node_vec, ctx, gram, dim, reg)
     d = degrees(edges).select("node", "strength")
     classes = [r.label for r in labels.select("label").distinct().orderBy("label").collect()] if labels is not None and margin else []
@@ -108,12 +111,15 @@ def _solve_nodes(a: np.ndarray, u: np.ndarray, classes: list[str], homophily: fl
     return run
 
 
-def _content_gram(ctx: Contexts) -> np.ndarray:
+def _content_gram(content: DataFrame, ctx: Contexts) -> np.ndarray:
+    """Transposed content times content: one aggregation over the pairs of features that a context has."""
+    used = settle(content.join(content.sparkSession.createDataFrame(pa.table({"node": pa.array(ctx.ids)})), "node", "left_semi").select("node", "feature", "value"), "gram")
+    other = used.select("node", F.col("feature").alias("other"), F.col("value").alias("v2"))
+    t = used.join(other, "node").groupBy("feature", "other").agg(F.sum(F.col("value") * F.col("v2")).alias("g")).toArrow()
     n = len(ctx.features)
     out = np.zeros((n, n))
-    for a, b in zip(ctx.start, ctx.start[1:]):
-        f, v = ctx.feature[a:b], ctx.value[a:b]
-        out[np.ix_(f, f)] += np.outer(v, v)
+    i, j = (np.searchsorted(ctx.features, t.column(k).to_numpy()) for k in (0, 1))
+    out[i, j] = t.column(2).to_numpy()
     return out
 
 
@@ -140,11 +146,12 @@ def _gram_of(node_vec: DataFrame, dim: int) -> np.ndarray:
     return np.array([r.g for r in rows], float).reshape(dim, dim)
 
 
-def _classifier(node_vec: DataFrame, labels: DataFrame, classes: list[str], dim: int, reg: float, max_labelled: int = 200_000) -> np.ndarray:
-    rows = node_vec.join(labels, "node").select("label", "w").limit(max_labelled).collect()
-    w = np.array([r.w for r in rows], float).reshape(-1, dim)
-    y = np.array([[float(r.label == c) for c in classes] for r in rows]).reshape(-1, len(classes))
-    return np.linalg.solve(w.T @ w + reg * np.eye(dim), w.T @ y)
+def _classifier(node_vec: DataFrame, labels: DataFrame, classes: list[str], dim: int, reg: float) -> np.ndarray:
+    """Least squares of the labelled nodes' classes, from two sums over them."""
+    d = settle(node_vec.join(labels, "node").select("label", "w"), "labelled")
+    sums = {r.label: r.s for r in d.groupBy("label").agg(F.array(*[F.sum(F.col("w")[i]) for i in range(dim)]).alias("s")).collect()}
+    y = np.array([sums.get(c, [0.0] * dim) for c in classes]).T
+    return np.linalg.solve(_gram_of(d, dim) + reg * np.eye(dim), y)
 
 
 # --- on the driver, up to max_nodes ------------------------------------------------------------------------------------

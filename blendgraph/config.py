@@ -34,23 +34,25 @@ class WalkConfig:
 
 @dataclass(frozen=True)
 class FitConfig:
-    """Joint factorization. negatives is the k of the cap; step 'fixed' uses step_size as it is."""
+    """Joint factorization. negatives is the k of the cap. step: 'fixed' uses step_size as it is, 'lipschitz' the step that
+    the curvature's bound makes safe, 'search' (features) and 'backtracking' (both halves) longer ones that the loss
+    agrees to. negative_mode 'exact' looks at all pairs, 'sampled' at draws_per_node of each node beside its counts."""
 
     dim: int = 16
     negatives: float = 1.0
     max_outer: int = 20
     max_inner: int = 3
     tol: float = 1e-4
-    step: str = "lipschitz"
+    step: str = "search"
     step_size: float = 1e-7
-    negative_mode: str = "exact"
+    negative_mode: str = "sampled"
     draws_per_node: int = 64
     loss: str = "sgns"
     ridge: float = 0.0
     seed: int = 7
 
     def __post_init__(self):
-        for value, allowed in ((self.step, ("fixed", "lipschitz", "backtracking")), (self.negative_mode, ("exact", "sampled")), (self.loss, ("sgns", "squared", "logistic_uncapped"))):
+        for value, allowed in ((self.step, ("fixed", "lipschitz", "search", "backtracking")), (self.negative_mode, ("exact", "sampled")), (self.loss, ("sgns", "squared", "logistic_uncapped"))):
             if value not in allowed:
                 raise ValueError(f"{value!r} is none of {allowed}")
 
@@ -61,4 +63,4 @@ class FitConfig:
 #: The published settings, a quick one for tests and the one whose single step SQL can follow.
 PAPER = FitConfig(dim=200, max_outer=200, max_inner=1, step="fixed", step_size=1e-7)
 FAST = FitConfig(dim=16, max_outer=15, max_inner=2)
-ORACLE = FitConfig(dim=4, max_outer=1, max_inner=1)
+ORACLE = FitConfig(dim=4, max_outer=1, max_inner=1, step="lipschitz", negative_mode="exact")

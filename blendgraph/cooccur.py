@@ -7,8 +7,10 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .checkpoints import settle
 from .config import WalkConfig
 from .randomness import SPAN, draw, fast_draw
+from .ranks import ranked_within
 
 
 def window_pairs(walks: DataFrame, cfg: WalkConfig = WalkConfig(), oracle: bool = False, pairs_per_walk: int = 1) -> DataFrame:
@@ -75,7 +77,7 @@ def label_pairs(labels: DataFrame, rounds: int, seed: int = 7, symmetric: bool =
         d = d.withColumn("r2", F.floor(part("second") * F.col("n")))
     else:
         d = d.filter("n > 1").withColumn("r2", F.floor(part("second") * (F.col("n") - 1))).withColumn("r2", F.expr("IF(r2 >= r1, r2 + 1, r2)"))
-    ranks = labels.select("label", "node", F.expr("row_number() OVER (PARTITION BY label ORDER BY node) - 1").cast("long").alias("rank"))
+    ranks = settle(ranked_within(labels.select("label", "node"), "label", ["node"]).select("label", "node", (F.col("rank") - 1).alias("rank")), "label-ranks")
     one = d.join(ranks.select("label", F.col("node"), F.col("rank").alias("r1")), ["label", "r1"]).join(ranks.select("label", F.col("node").alias("context"), F.col("rank").alias("r2")), ["label", "r2"])
     one = one.groupBy("node", "context").agg(F.count("*").alias("cnt"))
     return merge_counts(one, one.select(F.col("context").alias("node"), F.col("node").alias("context"), "cnt")) if symmetric else one

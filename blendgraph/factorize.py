@@ -6,6 +6,7 @@ x = (content row of the context) · feature embedding · node vector, a pair's l
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
@@ -17,10 +18,11 @@ from pyspark.sql import functions as F
 from .checkpoints import settle
 from .config import FAST, FitConfig
 from .cooccur import count_pairs, label_pairs, merge_counts
-from .randomness import SPAN, draw, normal
+from .randomness import SPAN, draw, long_unit, normal, numpy_long_unit
+from .ranks import ranked
 
-#: Largest context dictionary with its content, in MB, that is sent to the executors; beyond, joins do the work.
-BROADCAST_MB = 512.0
+#: Largest context dictionary with its content, in MB, that each worker process holds; beyond, joins do the work.
+BROADCAST_MB = 256.0
 #: Entries of a dense block of pairs that a task holds at once.
 BLOCK = 2_000_000
 
@@ -109,36 +111,35 @@ class Contexts:
     features: np.ndarray
     total: float
 
+    @property
+    def rows(self) -> np.ndarray:
+        return np.repeat(np.arange(len(self.ids)), np.diff(self.start))
+
     def dictionary(self, s: np.ndarray) -> np.ndarray:
         """Content times s, one row a context."""
-        out = np.zeros((len(self.ids), s.shape[1]))
-        rows = np.repeat(np.arange(len(self.ids)), np.diff(self.start))
-        for a in range(0, len(rows), 1 << 18):
-            np.add.at(out, rows[a : a + (1 << 18)], s[self.feature[a : a + (1 << 18)]] * self.value[a : a + (1 << 18), None])
-        return out
+        return summed(self.rows, s[self.feature] * self.value[:, None], len(self.ids))
 
     def back(self, y: np.ndarray) -> np.ndarray:
         """Transposed content times y, one row a feature."""
-        out = np.zeros((len(self.features), y.shape[1]))
-        rows = np.repeat(np.arange(len(self.ids)), np.diff(self.start))
-        for a in range(0, len(rows), 1 << 18):
-            np.add.at(out, self.feature[a : a + (1 << 18)], y[rows[a : a + (1 << 18)]] * self.value[a : a + (1 << 18), None])
-        return out
+        return summed(self.feature, y[self.rows] * self.value[:, None], len(self.features))
 
     @property
     def squares(self) -> np.ndarray:
         """Squared length of each context's content."""
-        out = np.zeros(len(self.ids))
-        np.add.at(out, np.repeat(np.arange(len(self.ids)), np.diff(self.start)), self.value**2)
-        return out
+        return np.bincount(self.rows, self.value**2, len(self.ids))
+
+
+def summed(at: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
+    """Sums of the rows of values with the same number."""
+    return np.stack([np.bincount(at, v, n) for v in values.T], axis=1) if values.shape[1] else np.zeros((n, 0))
 
 
-def gather_contexts(cooc: DataFrame, content: DataFrame, limit_mb: float = BROADCAST_MB) -> Contexts | None:
-    """The context side on the driver, or None if it is over limit_mb."""
-    cols = cooc.groupBy("context").agg(F.sum("cnt").cast("double").alias("total"))
+def gather_contexts(cooc: DataFrame, content: DataFrame, dim: int = 16, limit_mb: float = BROADCAST_MB) -> Contexts | None:
+    """The context side on the driver, or None if a worker would hold more than limit_mb with its dictionary of dim columns."""
+    cols = settle(cooc.groupBy("context").agg(F.sum("cnt").cast("double").alias("total")), "columns")
     used = settle(content.join(cols.select(F.col("context").alias("node")), "node", "left_semi"), "used-content")
     n, f = cols.count(), used.count()
-    if (24 * n + 16 * f) / 1e6 > limit_mb:
+    if (24 * n + 24 * f + 8 * n * dim) / 1e6 > limit_mb:
         return None
     t = cols.orderBy("context").toArrow()
     ids, totals = t.column(0).to_numpy(), t.column(1).to_numpy()
@@ -158,70 +159,79 @@ def _softplus(x: np.ndarray) -> np.ndarray:
 
 
 class Pairs:
-    """Counts and negatives of some nodes against all contexts, dense or sampled, and what follows from them."""
+    """Counts and negatives of some nodes against all contexts, dense or as a list, and what follows from them.
+
+    Every loss here is cap · phi(x) − cnt · x for each pair. Of a list, the stored pairs come first; draws stand for the
+    rest: with sgns a context is drawn by its share of the counts and weighs k · row / draws, otherwise all alike and
+    weigh contexts / draws. A draw is a function of (seed, turn, node, number), so no plan changes it.
+    """
 
     def __init__(self, ctx: Contexts, at: list[np.ndarray], cnt: list[np.ndarray], rows: np.ndarray, cfg: FitConfig, nodes: np.ndarray, turn: int):
         self.ctx, self.cfg, self.n = ctx, cfg, len(rows)
-        owner = np.repeat(np.arange(self.n), [len(a) for a in at])
+        self.squared = cfg.loss == "squared"
+        sizes = [len(a) for a in at]
+        owner = np.repeat(np.arange(self.n), sizes)
         place, count = (np.concatenate(z) if len(z) else np.zeros(0) for z in (at, cnt))
-        k = cfg.negatives / max(ctx.total, 1.0)
+        place = place.astype(np.int64)
+        if self.squared:
+            count = count / rows[owner]
+        self.constant = np.bincount(owner, 0.5 * count**2, self.n) if self.squared else 0.0
         if cfg.negative_mode == "exact":
-            self.dense = np.zeros((self.n, len(ctx.ids)))
-            self.dense[owner, place.astype(np.int64)] = count
-            self.product = k * rows[:, None] * ctx.totals[None, :] if cfg.loss == "sgns" else np.zeros((1, 1))
-            if cfg.loss == "logistic_uncapped":
-                self.product = np.full((1, 1), cfg.negatives)
+            self.owner = None
+            self.cnt = np.zeros((self.n, len(ctx.ids)))
+            self.cnt[owner, place] = count
+            if cfg.loss == "sgns":
+                self.cap = self.cnt + (cfg.negatives / max(ctx.total, 1.0)) * rows[:, None] * ctx.totals[None, :]
+            else:
+                self.cap = np.ones_like(self.cnt) if self.squared else self.cnt + cfg.negatives
+            return
+        d = cfg.draws_per_node
+        u = numpy_long_unit(cfg.seed, turn, nodes[:, None], np.arange(d)[None, :])
+        if cfg.loss == "sgns":
+            drawn = np.searchsorted(np.cumsum(ctx.totals), np.floor(u * ctx.total), side="right").clip(0, len(ctx.ids) - 1)
+            weight = np.repeat(cfg.negatives * rows / d, d)
         else:
-            self.dense = None
-            r = np.random.default_rng([cfg.seed, turn, int(nodes[0]) & 0xFFFFFFFF if self.n else 0, self.n])
-            drawn = np.searchsorted(np.cumsum(ctx.totals), r.random((self.n, cfg.draws_per_node)) * ctx.total, side="right").clip(0, len(ctx.ids) - 1)
-            weight = np.repeat(cfg.negatives * rows / cfg.draws_per_node, cfg.draws_per_node)
-            self.owner = np.concatenate([owner, np.repeat(np.arange(self.n), cfg.draws_per_node)])
-            self.place = np.concatenate([place.astype(np.int64), drawn.ravel()])
-            self.count = np.concatenate([count, np.zeros(drawn.size)])
-            # a stored pair's product part comes from the draws alone, so stored entries have cap = count
-            self.cap = np.concatenate([count, weight])
+            drawn = np.floor(u * len(ctx.ids)).astype(np.int64)
+            weight = np.full(self.n * d, len(ctx.ids) / d * (1.0 if self.squared else cfg.negatives))
+        self.owner = np.concatenate([owner, np.repeat(np.arange(self.n), d)])
+        self.place = np.concatenate([place, drawn])
+        self.cnt = np.concatenate([count, np.zeros(len(drawn))])
+        # a stored pair's share of the negatives comes from the draws, so its own cap is its count
+        self.cap = np.concatenate([np.zeros(len(count)) if self.squared else count, weight])
+
+    @property
+    def bound(self) -> float:
+        """Largest second derivative of phi."""
+        return 1.0 if self.squared else 0.25
 
     def scores(self, w: np.ndarray, h: np.ndarray) -> np.ndarray:
-        return w @ h.T if self.dense is not None else np.einsum("ij,ij->i", w[self.owner], h[self.place])
+        return w @ h.T if self.owner is None else np.einsum("ij,ij->i", w[self.owner], h[self.place])
 
     def residual(self, x: np.ndarray) -> np.ndarray:
-        if self.dense is not None:
-            return (self.dense + self.product) * _sigmoid(x) - self.dense
-        return self.cap * _sigmoid(x) - self.count
+        return self.cap * (x if self.squared else _sigmoid(x)) - self.cnt
 
     def losses(self, x: np.ndarray) -> np.ndarray:
         """Of each node."""
-        if self.dense is not None:
-            return ((self.dense + self.product) * _softplus(x) - self.dense * x).sum(axis=1)
-        return np.bincount(self.owner, self.cap * _softplus(x) - self.count * x, self.n)
+        each = self.cap * (0.5 * x * x if self.squared else _softplus(x)) - self.cnt * x
+        return (each.sum(axis=1) if self.owner is None else np.bincount(self.owner, each, self.n)) + self.constant
 
     def to_nodes(self, g: np.ndarray, h: np.ndarray) -> np.ndarray:
-        if self.dense is not None:
-            return g @ h
-        out = np.zeros((self.n, h.shape[1]))
-        np.add.at(out, self.owner, g[:, None] * h[self.place])
-        return out
+        return g @ h if self.owner is None else summed(self.owner, g[:, None] * h[self.place], self.n)
 
     def to_contexts(self, g: np.ndarray, w: np.ndarray) -> np.ndarray:
-        if self.dense is not None:
-            return g.T @ w
-        out = np.zeros((len(self.ctx.ids), w.shape[1]))
-        np.add.at(out, self.place, g[:, None] * w[self.owner])
-        return out
+        return g.T @ w if self.owner is None else summed(self.place, g[:, None] * w[self.owner], len(self.ctx.ids))
 
     def capped(self, c: np.ndarray) -> np.ndarray:
         """Sum over contexts of cap · c, of each node."""
-        if self.dense is not None:
-            return (self.dense + self.product) @ c if self.product.size > 1 else self.dense @ c + float(self.product[0, 0]) * c.sum()
-        return np.bincount(self.owner, self.cap * c[self.place], self.n)
+        return self.cap @ c if self.owner is None else np.bincount(self.owner, self.cap * c[self.place], self.n)
 
 
 def node_step(p: Pairs, w: np.ndarray, h: np.ndarray, cfg: FitConfig) -> tuple[np.ndarray, float, float, np.ndarray]:
     """Inner steps of the nodes' subproblems, which are independent: new vectors, loss before and after, last gradient."""
-    curve = 0.25 * p.capped((h**2).sum(axis=1)) + 2 * cfg.ridge
-    step = np.full(len(w), cfg.step_size) if cfg.step == "fixed" else 1 / np.maximum(curve, 1e-12)
-    if cfg.step == "backtracking":
+    curve = p.bound * p.capped((h**2).sum(axis=1)) + 2 * cfg.ridge
+    safe = 1 / np.maximum(curve, 1e-12)
+    step = np.full(len(w), cfg.step_size) if cfg.step == "fixed" else safe
+    if cfg.step in ("search", "backtracking"):
         step = 16 * step
     x = p.scores(w, h)
     loss = p.losses(x) + cfg.ridge * (w**2).sum(axis=1)
@@ -229,14 +239,14 @@ def node_step(p: Pairs, w: np.ndarray, h: np.ndarray, cfg: FitConfig) -> tuple[n
     for _ in range(cfg.max_inner):
         grad = p.to_nodes(p.residual(x), h) + 2 * cfg.ridge * w
         square = (grad**2).sum(axis=1)
-        new = w - step[:, None] * grad
-        x_new = p.scores(new, h)
-        loss_new = p.losses(x_new) + cfg.ridge * (new**2).sum(axis=1)
-        while cfg.step == "backtracking" and (worse := loss_new > loss - 0.5 * step * square + 1e-12 * np.abs(loss)).any() and step[worse].max() > 1e-15:
-            step = np.where(worse, step / 2, step)
+        while True:
             new = w - step[:, None] * grad
             x_new = p.scores(new, h)
             loss_new = p.losses(x_new) + cfg.ridge * (new**2).sum(axis=1)
+            worse = loss_new > loss - 0.25 * step * square
+            if cfg.step in ("fixed", "lipschitz") or not (worse & (step > safe)).any():
+                break
+            step = np.where(worse, np.maximum(step / 4, safe), step)
         done = loss.sum() - loss_new.sum() <= cfg.tol * 0.1 * abs(loss.sum())
         w, x, loss = new, x_new, loss_new
         if done and cfg.step != "fixed":
@@ -251,99 +261,108 @@ class JointModel:
         self.spark: SparkSession = cooc.sparkSession
         self.cfg, self.ctx = cfg, ctx
         numbers = self.spark.createDataFrame(pa.table({"context": pa.array(ctx.ids), "at": pa.array(np.arange(len(ctx.ids)))}))
-        listed = cooc.join(numbers, "context").groupBy("node").agg(F.sum("cnt").cast("double").alias("total"), F.collect_list("at").alias("at"), F.collect_list(F.col("cnt").cast("double")).alias("cnt"))
-        self.counts = settle(listed, "counts")
-        self.turn = 0
-
-    def _pass(self, node_vec: DataFrame, s: np.ndarray, f: Callable, schema: str, names: list[str], cfg: FitConfig | None = None) -> DataFrame:
-        """f(pairs, node ids, w, h) of each block of nodes -> arrays of the result's columns."""
-        self.turn += 1
-        cfg, turn = cfg or self.cfg, self.turn
+        # lists in the contexts' order, so that sums do not depend on the plan
+        entry = F.struct("at", F.col("cnt").cast("double").alias("cnt"))
+        listed = cooc.join(numbers, "context").groupBy("node").agg(F.sum("cnt").cast("double").alias("total"), F.sort_array(F.collect_list(entry)).alias("l"))
+        self.counts = settle(listed.select("node", "total", F.col("l.at").alias("at"), F.col("l.cnt").alias("cnt")), "counts")
+        self.rate = 16.0
+
+    def _blocks(self, node_vec: DataFrame, s: np.ndarray, turn: int, f: Callable, end: Callable | None, schema: str, names: list[str]) -> DataFrame:
+        """f(pairs, node ids, w, h) of each block of nodes -> arrays of the result's columns; end() gives those of a
+        whole partition after its last block."""
+        cfg = self.cfg
         sent = self.spark.sparkContext.broadcast((self.ctx, s))
-        made: list = []
+
+        def record(out) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(list(c)) if isinstance(c, np.ndarray) and c.ndim > 1 else pa.array(c) for c in out], names)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             ctx, s = sent.value
+            h, state = None, {}
             for batch in batches:
-                if not made:
-                    made.append(ctx.dictionary(s))
-                h = made[0]
-                rows = max(1, BLOCK // max(1, len(ctx.ids)))
+                h = ctx.dictionary(s) if h is None else h
+                each = len(ctx.ids) if cfg.negative_mode == "exact" else (cfg.draws_per_node + len(batch.column(2).values) // max(1, batch.num_rows)) * s.shape[1]
+                rows = max(1, BLOCK // max(1, each))
                 for a in range(0, batch.num_rows, rows):
                     part = batch.slice(a, rows)
                     node, total = (part.column(i).to_numpy(zero_copy_only=False) for i in (0, 1))
                     at, cnt = ([x.values.to_numpy(zero_copy_only=False) for x in part.column(i)] for i in (2, 3))
                     w = np.array(part.column(4).to_pylist(), float).reshape(part.num_rows, -1)
-                    out = f(Pairs(ctx, at, cnt, total, cfg, node, turn), node, w, h)
-                    yield pa.RecordBatch.from_arrays([pa.array(list(c)) if isinstance(c, np.ndarray) and c.ndim > 1 else pa.array(c) for c in out], names)
+                    out = f(Pairs(ctx, at, cnt, total, cfg, node, turn), node, w, h, state)
+                    if end is None:
+                        yield record(out)
+            if end is not None and state:
+                yield record(end(state))
 
         return self.counts.join(node_vec, "node").select("node", "total", "at", "cnt", "w").mapInArrow(run, schema)
 
-    def step_nodes(self, node_vec: DataFrame, s: np.ndarray) -> tuple[DataFrame, float, float]:
+    def step_nodes(self, node_vec: DataFrame, s: np.ndarray, turn: int = 0) -> tuple[DataFrame, float, float]:
         cfg = self.cfg
 
-        def f(p, node, w, h):
+        def f(p, node, w, h, state):
             new, before, after, _ = node_step(p, w, h, cfg)
             first = np.zeros(len(node))
             last = np.zeros(len(node))
             first[:1], last[:1] = before, after
             return node, new, first, last
 
-        out = settle(self._pass(node_vec, s, f, "node long, w array<double>, before double, after double", ["node", "w", "before", "after"]), "nodes")
+        out = settle(self._blocks(node_vec, s, turn, f, None, "node long, w array<double>, before double, after double", ["node", "w", "before", "after"]), "nodes")
         before, after = out.agg(F.sum("before"), F.sum("after")).first()
         return out.select("node", "w"), before or 0.0, after or 0.0
 
-    def node_gradients(self, node_vec: DataFrame, s: np.ndarray) -> DataFrame:
+    def node_gradients(self, node_vec: DataFrame, s: np.ndarray, turn: int = 0) -> DataFrame:
         """(node, g, loss) at the given factors."""
 
-        def f(p, node, w, h):
+        def f(p, node, w, h, state):
             x = p.scores(w, h)
             return node, p.to_nodes(p.residual(x), h), p.losses(x)
 
-        return self._pass(node_vec, s, f, "node long, g array<double>, loss double", ["node", "g", "loss"])
+        return self._blocks(node_vec, s, turn, f, None, "node long, g array<double>, loss double", ["node", "g", "loss"])
 
-    def feature_gradient(self, node_vec: DataFrame, s: np.ndarray) -> tuple[np.ndarray, float, float]:
-        """Gradient of the feature embedding, loss and curvature. Each task sums its nodes' share; the features' sums are
-        made on the executors, and features × dim numbers come to the driver."""
+    def feature_gradient(self, node_vec: DataFrame, s: np.ndarray, turn: int = 0) -> tuple[np.ndarray, float, float]:
+        """Gradient of the feature embedding, loss and curvature. Each task keeps one contexts × dim sum over all its nodes
+        and returns features × dim rows once; these are summed on the executors before they come to the driver."""
         ctx, dim = self.ctx, s.shape[1]
         squares = ctx.squares
 
-        def f(p, node, w, h):
+        def f(p, node, w, h, state):
             x = p.scores(w, h)
-            g = ctx_back(p.to_contexts(p.residual(x), w))
+            state["y"] = state.get("y", 0.0) + p.to_contexts(p.residual(x), w)
+            state["loss"] = state.get("loss", 0.0) + p.losses(x).sum()
+            state["curve"] = state.get("curve", 0.0) + p.bound * float(p.capped(squares) @ (w**2).sum(axis=1))
+
+        def end(state):
+            g = ctx.back(state["y"])
             scalars = np.zeros((1, dim + 2))
-            scalars[0, :2] = p.losses(x).sum(), 0.25 * float(p.capped(squares) @ (w**2).sum(axis=1))
+            scalars[0, :2] = state["loss"], state["curve"]
             return np.arange(-1, len(g)), np.concatenate([scalars, np.pad(g, ((0, 0), (0, 2)))])
 
-        ctx_back = ctx.back
-        parts = self._pass(node_vec, s, f, "feature long, g array<double>", ["feature", "g"])
+        parts = self._blocks(node_vec, s, turn, f, end, "feature long, g array<double>", ["feature", "g"])
         rows = {r.feature: r.g for r in parts.groupBy("feature").agg(vec_sum("g", dim + 2).alias("g")).collect()}
         if -1 not in rows:
             return np.zeros_like(s), 0.0, 0.0
         return np.array([rows[i][:dim] for i in range(len(s))]).reshape(s.shape), rows[-1][0], rows[-1][1]
 
-    def step_features(self, node_vec: DataFrame, s: np.ndarray) -> tuple[np.ndarray, float, float]:
+    def step_features(self, node_vec: DataFrame, s: np.ndarray, turn: int = 0) -> tuple[np.ndarray, float, float]:
+        """Inner steps along the gradient. 'search' and 'backtracking' begin with a multiple of the safe step that goes up
+        where the loss agreed at once and down where it did not; the safe step itself is always taken."""
         cfg = self.cfg
-        grad, loss, curve = self.feature_gradient(node_vec, s)
+        grad, loss, curve = self.feature_gradient(node_vec, s, turn)
         first = loss
-        for inner in range(cfg.max_inner):
-            step = cfg.step_size if cfg.step == "fixed" else 1 / max(curve, 1e-12)
-            if cfg.step == "fixed":
-                s = s - step * grad
-                grad, now, curve = self.feature_gradient(node_vec, s)
-            else:
-                # the bound is a safe step but a short one; longer ones are tried first and taken if the loss agrees
-                square = float((grad**2).sum())
-                tried = step * (256 if cfg.step == "backtracking" else 64)
-                while True:
-                    new = s - tried * grad
-                    g, now, c = self.feature_gradient(node_vec, new)
-                    if now <= loss - 0.25 * tried * square or tried <= step * 1.0001:
-                        break
-                    tried = max(tried / 4, step)
-                s, grad, curve = new, g, c
+        for _ in range(cfg.max_inner):
+            safe = 1 / max(curve, 1e-12)
+            square, tries = float((grad**2).sum()), 0
+            rate = 1.0 if cfg.step in ("fixed", "lipschitz") else self.rate
+            while True:
+                new = s - (cfg.step_size if cfg.step == "fixed" else rate * safe) * grad
+                g, now, c = self.feature_gradient(node_vec, new, turn)
+                if rate <= 1 or now <= loss - 0.25 * rate * safe * square:
+                    break
+                rate, tries = max(rate / 4, 1.0), tries + 1
+            if cfg.step in ("search", "backtracking"):
+                self.rate = rate * (2 if not tries else 1)
             done = loss - now <= cfg.tol * abs(loss)
-            loss = now
+            s, grad, curve, loss = new, g, c, now
             if done and cfg.step != "fixed":
                 break
         return s, first, loss
@@ -359,7 +378,13 @@ class FitResult:
     dim: int
 
     def history_frame(self) -> DataFrame:
-        return self.node_vec.sparkSession.createDataFrame([(h["outer"], h["half"], float(h["before"]), float(h["after"])) for h in self.history], "outer int, half string, before double, after double")
+        """One row a half-step: loss before and after, by the same draws, pairs that a pass looks at, and seconds."""
+        rows = [(h["outer"], h["half"], float(h["before"]), float(h["after"]), int(h["pairs"]), float(h["seconds"])) for h in self.history]
+        return self.node_vec.sparkSession.createDataFrame(rows, "outer int, half string, before double, after double, pairs long, seconds double")
+
+    def falls(self, slack: float = 1e-9) -> bool:
+        """Whether no half-step has raised the loss."""
+        return bool(self.history) and all(h["after"] <= h["before"] + slack * abs(h["before"]) for h in self.history)
 
     def trained(self, nodes: DataFrame) -> DataFrame:
         """nodes(node) with trained: whether a count has moved the node's vector."""
@@ -385,29 +410,44 @@ def initial(cooc: DataFrame, ctx: Contexts, cfg: FitConfig, oracle: bool = False
     return settle(node_vec, "initial"), np.array(rows.column(1).to_pylist(), float).reshape(len(ctx.features), cfg.dim)
 
 
+def pairs_looked_at(stored: int, nodes: int, contexts: int, cfg: FitConfig) -> int:
+    return nodes * contexts if cfg.negative_mode == "exact" else stored + nodes * cfg.draws_per_node
+
+
+def alternate(model, node_vec, s, cfg: FitConfig, pairs: int) -> tuple:
+    """Half-steps of a model until the loss falls by less than tol of itself; -> factors and history. Draws are made anew
+    in each half-step and are the same within one, so that its losses can be compared."""
+    history: list[dict] = []
+    last = None
+    for outer in range(cfg.max_outer):
+        for turn, half in ((2 * outer, "nodes"), (2 * outer + 1, "features")):
+            began = time.time()
+            if half == "nodes":
+                node_vec, before, after = model.step_nodes(node_vec, s, turn)
+            else:
+                s, before, after = model.step_features(node_vec, s, turn)
+            history.append({"outer": outer, "half": half, "before": before, "after": after, "pairs": pairs, "seconds": time.time() - began})
+        if last is not None and abs(last - after) <= cfg.tol * abs(last) and cfg.step != "fixed":
+            break
+        last = after
+    return node_vec, s, history
+
+
 def fit_joint(cooc: DataFrame, content: DataFrame, cfg: FitConfig = FAST, broadcast_mb: float = BROADCAST_MB) -> FitResult:
     """Alternate between node vectors and feature embedding until the loss falls by less than tol of itself.
 
     The node half-step is one pass over the counts: nodes are independent given the context dictionary. The feature
     half-step adds one pass for each step. Node vectors are written every time round. Where the context side is over
-    broadcast_mb, fit_by_joins takes over, with sampled negatives.
+    broadcast_mb, fit_by_joins does the same by joins, with the same draws; the exact negatives, which look at all pairs
+    of nodes and contexts, are refused there.
     """
     cooc = settle(cooc.select("node", "context", "cnt"), "cooc")
-    ctx = gather_contexts(cooc, content, broadcast_mb)
+    ctx = gather_contexts(cooc, content, cfg.dim, broadcast_mb)
     if ctx is None:
         return fit_by_joins(cooc, content, cfg)
     model = JointModel(cooc, content, cfg, ctx)
     node_vec, s = initial(cooc, ctx, cfg)
-    history: list[dict] = []
-    last = None
-    for outer in range(cfg.max_outer):
-        node_vec, before, after = model.step_nodes(node_vec, s)
-        history.append({"outer": outer, "half": "nodes", "before": before, "after": after})
-        s, before, after = model.step_features(node_vec, s)
-        history.append({"outer": outer, "half": "features", "before": before, "after": after})
-        if last is not None and abs(last - after) <= cfg.tol * abs(last) and cfg.step != "fixed":
-            break
-        last = after
+    node_vec, s, history = alternate(model, node_vec, s, cfg, pairs_looked_at(cooc.count(), node_vec.count(), len(ctx.ids), cfg))
     return FitResult(node_vec, _features_frame(model.spark, ctx, s), history, cfg.dim)
 
 
@@ -420,27 +460,36 @@ def fit_counts_only(cooc: DataFrame, cfg: FitConfig = FAST) -> FitResult:
 # --- the model on joins -----------------------------------------------------------------------------------------------
 
 
-def sampled_pairs(cooc: DataFrame, cfg: FitConfig, turn: int, rows: DataFrame, total: int) -> DataFrame:
-    """(node, context, cnt, cap): the stored pairs with their count as cap, and drawn negatives of weight k · row / draws.
+def drawing_table(cooc: DataFrame, cfg: FitConfig) -> tuple[DataFrame, int, int]:
+    """(cell, start, end, context), all units and the width of a cell: contexts in their order lie along a line, each as
+    long as its count (sgns) or one unit, cut into as many cells as there are contexts. A context has a row for each cell
+    it touches, so there are twice as many rows as contexts at most, and a frequent one's draws are spread over its cells."""
+    cols = cooc.groupBy("context").agg(F.sum("cnt").cast("long").alias("t"))
+    cols = cols if cfg.loss == "sgns" else cols.withColumn("t", F.lit(1).cast("long"))
+    line = settle(ranked(cols, ["context"], {"end": "t"}), "line")
+    n, total = line.agg(F.count("*"), F.max("end")).first()
+    width = max(1, (total or 0) // max(1, n))
+    start = F.col("end") - F.col("t")
+    table = line.select("context", start.alias("start"), "end").withColumn("cell", F.explode(F.expr(f"sequence(start div {width}, (`end` - 1) div {width})")))
+    return settle(table, "cells"), int(total or 0), width
 
-    A context is drawn with chance column / all by drawing a unit of count: units are numbered within hash blocks of the
-    columns, and block and place are two equi joins, so no list of all columns is held in one place.
-    """
-    blocks = 1024
-    cols = cooc.groupBy("context").agg(F.sum("cnt").alias("t")).withColumn("block", F.pmod(F.xxhash64("context"), F.lit(blocks)).cast("int"))
-    listed = cols.groupBy("block").agg(F.sum("t").alias("size"), F.sort_array(F.collect_list(F.struct("context", "t"))).alias("l"))
-    listed = listed.select("block", "size", F.expr("transform(l, x -> x.context)").alias("ids"), F.expr("aggregate(l, CAST(array() AS ARRAY<BIGINT>), (s, x) -> concat(s, array(IF(size(s) = 0, 0L, element_at(s, -1)) + x.t)))").alias("tops"))
-    sizes = {r.block: r.size for r in listed.select("block", "size").collect()}
-    ends, acc = [], 0
-    for b in range(blocks):
-        acc += sizes.get(b, 0)
-        ends.append(acc)
+
+def sampled_pairs(cooc: DataFrame, cfg: FitConfig, turn: int, rows: DataFrame, drawing: tuple[DataFrame, int, int], contexts: int) -> DataFrame:
+    """(node, context, cnt, cap, fixed): the pairs that Pairs lists, made by joins. fixed is the squared loss's constant."""
+    table, total, width = drawing
     d = rows.withColumn("j", F.explode(F.sequence(F.lit(0), F.lit(cfg.draws_per_node - 1))))
-    u = F.floor(draw(cfg.seed, turn, F.col("node"), F.col("j")) / F.lit(float(SPAN)) * total).cast("long")
-    d = d.withColumn("u", u).withColumn("ends", F.lit(ends)).withColumn("block", F.expr("size(filter(ends, e -> e <= u))"))
-    d = d.withColumn("v", F.expr("u - IF(block = 0, 0, ends[greatest(block, 1) - 1])")).drop("ends")
-    drawn = d.join(listed, "block").select("node", F.expr("ids[least(size(filter(tops, t -> t <= v)), size(ids) - 1)]").alias("context"), F.lit(0.0).alias("cnt"), (F.lit(cfg.negatives / cfg.draws_per_node) * F.col("total")).alias("cap"))
-    return cooc.select("node", "context", F.col("cnt").cast("double").alias("cnt"), F.col("cnt").cast("double").alias("cap")).unionByName(drawn)
+    d = d.withColumn("v", F.floor(long_unit(cfg.seed, turn, F.col("node"), F.col("j")) * float(total)).cast("long")).withColumn("cell", F.expr(f"v div {width}"))
+    d = d.join(table, "cell").filter("v >= start AND v < `end`")
+    squared = cfg.loss == "squared"
+    weight = F.lit(cfg.negatives / cfg.draws_per_node) * F.col("total") if cfg.loss == "sgns" else F.lit(contexts / cfg.draws_per_node * (1.0 if squared else cfg.negatives))
+    drawn = d.select("node", "context", F.lit(0.0).alias("cnt"), weight.cast("double").alias("cap"), F.lit(0.0).alias("fixed"))
+    cnt = F.col("cnt").cast("double")
+    if squared:
+        own = cooc.join(rows, "node").select("node", "context", (cnt / F.col("total")).alias("cnt"))
+        stored = own.select("node", "context", "cnt", F.lit(0.0).alias("cap"), (F.col("cnt") * F.col("cnt") / 2).alias("fixed"))
+    else:
+        stored = cooc.select("node", "context", cnt.alias("cnt"), cnt.alias("cap"), F.lit(0.0).alias("fixed"))
+    return stored.unionByName(drawn)
 
 
 def join_scores(pairs: DataFrame, node_vec: DataFrame, ctx_vec: DataFrame) -> DataFrame:
@@ -465,37 +514,95 @@ def grad_features(scored: DataFrame, content: DataFrame, dim: int) -> DataFrame:
     return d.groupBy("feature").agg(vec_sum("v", dim).alias("g"))
 
 
-def fit_by_joins(cooc: DataFrame, content: DataFrame, cfg: FitConfig) -> FitResult:
-    """The same alternation for context sides of any size: vectors meet pairs by joins, sums are made on each task first,
-    negatives are drawn anew in each half-step, and only the loss comes to the driver."""
-    rows = settle(cooc.groupBy("node").agg(F.sum("cnt").alias("total")), "rows")
-    total = rows.agg(F.sum("total")).first()[0] or 0
-    node_vec = settle(init_vectors(rows, "node", "node", cfg.dim, cfg.dim**-0.5, cfg.seed), "nodes")
-    feat_vec = settle(init_vectors(content.select("feature").distinct(), "feature", "feature", cfg.dim, 0.1, cfg.seed), "features")
-    lengths = settle(content.groupBy(F.col("node").alias("context")).agg(F.sum(F.col("value") * F.col("value")).alias("f2")), "lengths")
-    history: list[dict] = []
-    last, rate = None, 64.0
-    for outer in range(cfg.max_outer):
-        ctx_vec = settle(context_dictionary(content, feat_vec, cfg.dim), "contexts")
-        scored = settle(join_scores(sampled_pairs(cooc, cfg, 2 * outer, rows, total), node_vec, ctx_vec), "scored")
-        before = scored.agg(F.sum(pair_loss(F.col("cnt"), F.col("cap"), F.col("x")))).first()[0] or 0.0
-        g = grad_nodes(scored, cfg.dim)
-        step = F.lit(cfg.step_size) if cfg.step == "fixed" else 1 / F.greatest(F.col("curve"), F.lit(1e-12))
-        node_vec = settle(node_vec.join(g, "node").withColumn("step", step).select("node", F.expr("zip_with(w, g, (a, b) -> a - step * b)").alias("w")), "nodes")
-        scored = settle(join_scores(sampled_pairs(cooc, cfg, 2 * outer + 1, rows, total), node_vec, ctx_vec), "scored")
-        middle = scored.agg(F.sum(pair_loss(F.col("cnt"), F.col("cap"), F.col("x")))).first()[0] or 0.0
-        history.append({"outer": outer, "half": "nodes", "before": before, "after": middle})
+class JoinModel:
+    """The same half-steps for context sides of any size: vectors meet pairs by joins, sums are made on each task first, and
+    only losses and curvatures come to the driver. The feature embedding is a table, as the node vectors are."""
+
+    def __init__(self, cooc: DataFrame, content: DataFrame, cfg: FitConfig):
+        self.cooc, self.content, self.cfg, self.rate = cooc, content, cfg, 16.0
+        self.rows = settle(cooc.groupBy("node").agg(F.sum("cnt").alias("total")), "rows")
+        self.drawing = drawing_table(cooc, cfg)
+        self.contexts = cooc.select("context").distinct().count()
+        self.lengths = settle(content.groupBy(F.col("node").alias("context")).agg(F.sum(F.col("value") * F.col("value")).alias("f2")), "lengths")
+        self.bound = 1.0 if cfg.loss == "squared" else 0.25
+        self.turn: int | None = None
+
+    def pairs(self, turn: int) -> DataFrame:
+        if turn != self.turn:
+            self.turn, self.made = turn, settle(sampled_pairs(self.cooc, self.cfg, turn, self.rows, self.drawing, self.contexts), "pairs")
+        return self.made
+
+    def scored(self, pairs: DataFrame, node_vec: DataFrame, ctx_vec: DataFrame) -> DataFrame:
+        x = F.col("x")
+        phi, slope = (x * x / 2, x) if self.cfg.loss == "squared" else (softplus(x), sigmoid(x))
+        d = join_scores(pairs, node_vec, ctx_vec)
+        return d.withColumns({"loss": F.col("cap") * phi - F.col("cnt") * x + F.col("fixed"), "r": F.col("cap") * slope - F.col("cnt")})
+
+    def step_nodes(self, node_vec: DataFrame, feat_vec: DataFrame, turn: int) -> tuple[DataFrame, float, float]:
+        cfg, pairs = self.cfg, self.pairs(turn)
+        ctx_vec = settle(context_dictionary(self.content, feat_vec, cfg.dim), "contexts")
         w2 = F.expr("aggregate(w, CAST(0 AS DOUBLE), (s, z) -> s + z * z)")
-        curve = scored.join(lengths, "context").agg(F.sum(F.col("cap") * F.col("f2") * w2) / 4).first()[0] or 1.0
-        step = cfg.step_size if cfg.step == "fixed" else rate / curve
-        g = grad_features(scored, content, cfg.dim)
-        feat_vec = settle(feat_vec.join(g, "feature", "left").select("feature", F.expr(f"IF(g IS NULL, s, zip_with(s, g, (a, b) -> a - {step!r}D * b))").alias("s")), "features")
-        history.append({"outer": outer, "half": "features", "before": middle, "after": middle})
-        if last is not None:
-            rate = rate / 2 if before > last else rate
-            if abs(last - before) <= cfg.tol * abs(last) and cfg.step != "fixed":
+        h2 = F.expr("aggregate(h, CAST(0 AS DOUBLE), (s, z) -> s + z * z)")
+        losses = []
+        for inner in range(cfg.max_inner + 1):
+            d = self.scored(pairs, node_vec, ctx_vec).withColumns({"v": F.expr("transform(h, y -> y * r)"), "c": F.col("cap") * h2 * self.bound})
+            g = d.groupBy("node").agg(vec_sum("v", cfg.dim).alias("g"), F.sum("c").alias("curve"), F.sum("loss").alias("loss"))
+            d = settle(node_vec.join(g, "node").withColumn("loss", F.col("loss") + cfg.ridge * w2), "node-gradients")
+            losses.append(d.agg(F.sum("loss")).first()[0] or 0.0)
+            if inner == cfg.max_inner:
                 break
-        last = before
+            step = F.lit(cfg.step_size) if cfg.step == "fixed" else 1 / F.greatest(F.col("curve") + 2 * cfg.ridge, F.lit(1e-12))
+            node_vec = settle(d.withColumn("step", step).select("node", F.expr(f"zip_with(w, g, (a, b) -> a - step * (b + {2 * cfg.ridge!r}D * a))").alias("w")), "nodes")
+        return node_vec, losses[0], losses[-1]
+
+    def feature_gradient(self, node_vec: DataFrame, feat_vec: DataFrame, turn: int) -> tuple[DataFrame, float, float, float]:
+        """(feature, g), loss, curvature and squared length of the gradient."""
+        cfg = self.cfg
+        ctx_vec = settle(context_dictionary(self.content, feat_vec, cfg.dim), "contexts")
+        w2 = F.expr("aggregate(w, CAST(0 AS DOUBLE), (s, z) -> s + z * z)")
+        d = self.scored(self.pairs(turn), node_vec, ctx_vec).join(self.lengths, "context")
+        d = d.withColumns({"v": F.expr("transform(w, z -> z * r)"), "c": F.col("cap") * F.col("f2") * w2 * self.bound})
+        y = settle(d.groupBy("context").agg(vec_sum("v", cfg.dim).alias("y"), F.sum("loss").alias("loss"), F.sum("c").alias("c")), "context-sums")
+        loss, curve = y.agg(F.sum("loss"), F.sum("c")).first()
+        back = self.content.join(y.select(F.col("context").alias("node"), "y"), "node").select("feature", F.expr("transform(y, z -> z * value)").alias("v"))
+        g = settle(back.groupBy("feature").agg(vec_sum("v", cfg.dim).alias("g")), "feature-gradients")
+        square = g.agg(F.sum(F.expr("aggregate(g, CAST(0 AS DOUBLE), (s, z) -> s + z * z)"))).first()[0]
+        return g, loss or 0.0, curve or 0.0, square or 0.0
+
+    def step_features(self, node_vec: DataFrame, feat_vec: DataFrame, turn: int) -> tuple[DataFrame, float, float]:
+        cfg = self.cfg
+        g, loss, curve, square = self.feature_gradient(node_vec, feat_vec, turn)
+        first = loss
+        for _ in range(cfg.max_inner):
+            safe, tries = 1 / max(curve, 1e-12), 0
+            rate = 1.0 if cfg.step in ("fixed", "lipschitz") else self.rate
+            while True:
+                step = cfg.step_size if cfg.step == "fixed" else rate * safe
+                new = settle(feat_vec.join(g, "feature", "left").select("feature", F.expr(f"IF(g IS NULL, s, zip_with(s, g, (a, b) -> a - {step!r}D * b))").alias("s")), "features")
+                g_new, now, c, q = self.feature_gradient(node_vec, new, turn)
+                if rate <= 1 or now <= loss - 0.25 * rate * safe * square:
+                    break
+                rate, tries = max(rate / 4, 1.0), tries + 1
+            if cfg.step == "search":
+                self.rate = rate * (2 if not tries else 1)
+            done = loss - now <= cfg.tol * abs(loss)
+            feat_vec, g, curve, square, loss = new, g_new, c, q, now
+            if done and cfg.step != "fixed":
+                break
+        return feat_vec, first, loss
+
+
+def fit_by_joins(cooc: DataFrame, content: DataFrame, cfg: FitConfig) -> FitResult:
+    """fit_joint for context sides of any size: the same losses, draws and feature steps, by joins. Nodes take the safe (or
+    the fixed) step. All pairs and a line search for each node need the context side on the executors, and are refused."""
+    if cfg.negative_mode == "exact" or cfg.step == "backtracking":
+        raise ValueError("by joins, negatives are sampled and steps are not searched for each node")
+    cooc = settle(cooc.select("node", "context", "cnt"), "cooc")
+    used = settle(content.join(cooc.select(F.col("context").alias("node")).distinct(), "node", "left_semi"), "used-content")
+    model = JoinModel(cooc, used, cfg)
+    node_vec = settle(init_vectors(model.rows, "node", "node", cfg.dim, cfg.dim**-0.5, cfg.seed), "nodes")
+    feat_vec = settle(init_vectors(used.select(F.col("feature").cast("long").alias("feature")).distinct(), "feature", "feature", cfg.dim, 0.1, cfg.seed), "features")
+    node_vec, feat_vec, history = alternate(model, node_vec, feat_vec, cfg, pairs_looked_at(cooc.count(), model.rows.count(), model.contexts, cfg))
     return FitResult(node_vec, feat_vec, history, cfg.dim)
 
 

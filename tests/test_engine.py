@@ -14,7 +14,9 @@ from blendgraph import heuristics as H
 from blendgraph import proximity as P
 from blendgraph.config import FitConfig, WalkConfig
 from blendgraph.plans import GraphStats, choose, estimate
-from blendgraph.walks import numpy_draw, sample_walks, sample_walks_biased
+from blendgraph.randomness import numpy_draw
+from blendgraph.ranks import ranked, ranked_within
+from blendgraph.walks import sample_walks, sample_walks_biased
 
 
 def edges(spark, pairs, weight=1.0):
@@ -123,7 +125,7 @@ def small_model(spark):
     pairs = sorted({tuple(sorted(map(int, r.choice(14, 2, replace=False)))) for _ in range(40)})
     cooc = edges(spark, pairs).select(F.col("src").alias("node"), F.col("dst").alias("context"), (1 + (F.col("src") + F.col("dst")) % 4).alias("cnt")).cache()
     content = spark.createDataFrame([(i, int(f), float(v)) for i in range(14) for f, v in zip(r.choice(6, 3, replace=False), r.random(3))], "node long, feature int, value double").cache()
-    cfg = FitConfig(dim=3, max_outer=6, max_inner=2, seed=5)
+    cfg = FitConfig(dim=3, max_outer=6, max_inner=2, seed=5, negative_mode="exact", step="lipschitz")
     ctx = M.gather_contexts(cooc, content)
     return cooc, content, cfg, ctx
 
@@ -158,7 +160,7 @@ def test_gradients_against_differences(spark, small_model):
 
 def test_loss_never_rises(small_model):
     cooc, content, cfg, _ = small_model
-    for step in ("lipschitz", "backtracking"):
+    for step in ("lipschitz", "search", "backtracking"):
         h = M.fit_joint(cooc, content, cfg.with_(step=step)).history
         losses = [x for r in h for x in (r["before"], r["after"])]
         assert all(b <= a + 1e-9 * abs(a) for a, b in zip(losses, losses[1:])) and losses[-1] < losses[0]
@@ -177,10 +179,113 @@ def test_sampled_negatives_are_unbiased(spark, small_model):
     node_vec, s = M.initial(cooc, ctx, cfg)
     want = exact.feature_gradient(node_vec, s)[1]
     model = M.JointModel(cooc, content, cfg.with_(negative_mode="sampled", draws_per_node=200), ctx)
-    got = np.array([model.feature_gradient(node_vec, s)[1] for _ in range(8)])
+    got = np.array([model.feature_gradient(node_vec, s, turn)[1] for turn in range(8)])
     assert abs(got.mean() - want) < 4 * got.std() / math.sqrt(8) + 0.02 * abs(want)
 
 
+def test_losses_against_plain(small_model):
+    cooc, content, cfg, ctx = small_model
+    r = np.random.default_rng(4)
+    rows = cooc.collect()
+    nodes = np.array(sorted({x.node for x in rows}))
+    n = np.zeros((len(nodes), len(ctx.ids)))
+    for x in rows:
+        n[np.searchsorted(nodes, x.node), np.searchsorted(ctx.ids, x.context)] = x.cnt
+    total = n.sum(axis=1)
+    w, h = r.normal(size=(len(nodes), 3)), r.normal(size=(len(ctx.ids), 3))
+    x = w @ h.T
+    want = {
+        "sgns": ((n + 2 * np.outer(total, n.sum(axis=0)) / n.sum()) * np.logaddexp(0, x) - n * x).sum(axis=1),
+        "logistic_uncapped": ((n + 2) * np.logaddexp(0, x) - n * x).sum(axis=1),
+        "squared": 0.5 * ((x - n / total[:, None]) ** 2).sum(axis=1),
+    }
+    at, cnt = [np.flatnonzero(v) for v in n], [v[v > 0] for v in n]
+    for loss, each in want.items():
+        exact = M.Pairs(ctx, at, cnt, total, cfg.with_(loss=loss, negatives=2.0), nodes, 0)
+        assert np.allclose(exact.losses(exact.scores(w, h)), each)
+        drawn = [M.Pairs(ctx, at, cnt, total, cfg.with_(loss=loss, negatives=2.0, negative_mode="sampled", draws_per_node=4000), nodes, t) for t in range(3)]
+        mean = np.mean([p.losses(p.scores(w, h)) for p in drawn], axis=0)
+        assert np.allclose(mean, each, rtol=0.1, atol=0.05 * np.abs(each).max())
+        g = exact.to_nodes(exact.residual(x), h)
+        for i in range(3):
+            d = np.zeros_like(w)
+            d[i, i] = 1e-6
+            a, b = (exact.losses(exact.scores(v, h)).sum() for v in (w + d, w - d))
+            assert abs((a - b) / 2e-6 - g[i, i]) < 1e-4
+
+
+def vectors(fit):
+    return {r.node: r.w for r in fit.node_vec.collect()}, {r.feature: r.s for r in fit.feat_vec.collect()}
+
+
+@pytest.mark.parametrize("loss", ["sgns", "logistic_uncapped", "squared"])
+def test_joins_make_the_same_fit(small_model, loss):
+    """The path by joins and the one by broadcast have the same draws, steps and losses."""
+    cooc, content, cfg, _ = small_model
+    cfg = cfg.with_(negative_mode="sampled", draws_per_node=5, max_outer=1, max_inner=1, loss=loss)
+    a, b = M.fit_joint(cooc, content, cfg), M.fit_joint(cooc, content, cfg, broadcast_mb=0)
+    for x, y in zip(vectors(a), vectors(b)):
+        assert x.keys() == y.keys() and all(np.allclose(x[k], y[k], atol=1e-9) for k in x)
+    for x, y in zip(a.history, b.history):
+        assert x["half"] == y["half"] and np.allclose([x["before"], x["after"]], [y["before"], y["after"]]) and x["after"] <= x["before"]
+    with pytest.raises(ValueError):
+        M.fit_by_joins(cooc, content, cfg.with_(negative_mode="exact"))
+
+
+def test_draws_do_not_depend_on_the_plan(spark, small_model):
+    cooc, content, cfg, _ = small_model
+    cfg = cfg.with_(negative_mode="sampled", draws_per_node=6, max_outer=1)
+    one = vectors(M.fit_joint(cooc, content, cfg))[0]
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    try:
+        spark.conf.set("spark.sql.shuffle.partitions", "3")
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "2")
+        other = vectors(M.fit_joint(cooc.repartition(5), content, cfg))[0]
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert all(np.allclose(one[k], other[k], atol=1e-9) for k in one)
+
+
+def test_biased_walks_follow_their_law(spark):
+    """On a triangle with a tail 0-1-2-0, 2-3: shares of the steps 1 -> 2 -> x against the weights 1/p, 1 and 1/q."""
+    g = edges(spark, [(0, 1), (1, 2), (2, 0), (2, 3)])
+    p, q = 0.25, 0.5
+    steps = [r.path for r in sample_walks_biased(g, WalkConfig(walk_length=3, per_node=1500), p, q).collect()]
+    ends = [x[2] for x in steps if x[:2] == [1, 2]]
+    want = {1: 1 / p, 0: 1.0, 3: 1 / q}
+    for node, weight in want.items():
+        assert abs(ends.count(node) / len(ends) - weight / sum(want.values())) < 0.05
+    assert len(ends) > 500 and all(x[2] == 2 for x in steps if x[1] == 3)
+
+
+def test_ranks(spark):
+    r = np.random.default_rng(2)
+    rows = [(int(i), "abc"[i % 3] if i % 10 else None, int(r.integers(0, 9)), int(r.integers(0, 5))) for i in range(300)]
+    d = spark.createDataFrame(rows, "id long, g string, k int, v int").repartition(7)
+    got = {x.id: (x.rank, x.s) for x in ranked(d, [F.desc("k"), "id"], {"s": "v"}).collect()}
+    total = 0
+    for i, x in enumerate(sorted(rows, key=lambda x: (-x[2], x[0])), 1):
+        total += x[3]
+        assert got[x[0]] == (i, total)
+    got = {x.id: (x.rank, x.s) for x in ranked_within(d, "g", [F.desc("k"), "id"], {"s": "v"}).collect()}
+    for g in (None, "a", "b", "c"):
+        total = 0
+        for i, x in enumerate(sorted((x for x in rows if x[1] == g), key=lambda x: (-x[2], x[0])), 1):
+            total += x[3]
+            assert got[x[0]] == (i, total)
+    assert ranked(d.limit(0), ["id"]).collect() == [] and ranked_within(d.limit(0), "g", ["id"]).collect() == []
+
+
+def test_hubs_are_cut_into_chunks(spark):
+    from blendgraph.walks import adjacency
+
+    star = edges(spark, [(0, i) for i in range(1, 41)])
+    heads, chunks = adjacency(star, chunk=8)
+    assert max(len(x.nbrs) for x in chunks.collect()) < 30 and heads.filter("node = 0").first().total == 40
+    assert sorted(n for x in chunks.filter("node = 0").collect() for n in x.nbrs) == list(range(1, 41))
+
+
 def test_untrained_nodes_and_content_only(spark, small_model):
     cooc, content, cfg, _ = small_model
     r = M.fit_joint(cooc, content.unionByName(spark.createDataFrame([(77, 1, 2.0)], "node long, feature int, value double")), cfg.with_(max_outer=2))
