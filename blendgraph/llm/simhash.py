@@ -96,18 +96,23 @@ def fingerprints(docs: DataFrame, width: int = 4) -> DataFrame:
     return d.mapInArrow(per_batch(run), f"doc_id {d.schema['doc_id'].dataType.simpleString()}, fp long")
 
 
-def block_masks(max_bits: int, n: int, held: int = 4) -> list[int]:
+def piece_masks(max_bits: int, r: int) -> list[int]:
     """Masks such that two values that differ in max_bits bits or fewer agree under one of them.
 
     The 64 bits are cut into max_bits + r pieces. max_bits differing bits touch max_bits pieces at most, so r others
-    agree: a mask for each choice of r pieces. r grows, up to 4, until blocks of n evenly spread values hold `held` on
-    average; whatever r is, the pairs found are the same.
+    agree: a mask for each choice of r pieces. Whatever r is, the pairs found are the same; a larger one makes more and
+    smaller blocks.
     """
+    cuts = [round(64 * i / (max_bits + r)) for i in range(max_bits + r + 1)]
+    pieces = [((1 << b) - 1) ^ ((1 << a) - 1) for a, b in zip(cuts, cuts[1:])]
+    return [sum(c) for c in combinations(pieces, r)]
+
+
+def block_masks(max_bits: int, n: int) -> list[int]:
+    """Masks of as many pieces, up to 4, as it takes for blocks of n evenly spread values to hold 4 on average."""
     for r in range(1, 65 - max_bits):
-        cuts = [round(64 * i / (max_bits + r)) for i in range(max_bits + r + 1)]
-        pieces = [((1 << b) - 1) ^ ((1 << a) - 1) for a, b in zip(cuts, cuts[1:])]
-        masks = [sum(c) for c in combinations(pieces, r)]
-        if min(m.bit_count() for m in masks) + held.bit_length() - 1 >= n.bit_length() or r >= 4:
+        masks = piece_masks(max_bits, r)
+        if min(m.bit_count() for m in masks) + 2 >= n.bit_length() or r >= 4:
             return masks
     return masks
 
@@ -241,14 +246,15 @@ def near_duplicates(docs: DataFrame, width: int = 4, max_bits: int = 4, largest_
     return each.join(rooted.join(least, "root").select("fp", "component_id"), "fp", "left").select("doc_id", "fp", "component_id")
 
 
-def similar_edges(values: DataFrame, max_bits: int, check_bits: int, largest_block: int = 20_000, held: int = 256) -> DataFrame:
+def similar_edges(values: DataFrame, max_bits: int, check_bits: int, largest_block: int = 20_000, pieces: int = 2) -> DataFrame:
     """values(node, fp, g0 ...) -> edges (a, b) whose components are those of all pairs within max_bits of fp and
     check_bits of the g's.
 
-    Blocks by masks of fp, as in hamming_edges. A block of over largest_block rows is dealt into parts of half that
+    Blocks by masks of fp, as in hamming_edges, of `pieces` pieces: with 2 and 7 bits, each value is in 36 blocks of 14
+    bits or more (3: 120 of 18, for tables of billions of documents). A block of over largest_block rows is dealt into parts of half that
     size, and each two parts meet in a task, which returns a spanning forest: no task has more than largest_block rows.
     """
-    rows = _blocked(values, block_masks(max_bits, values.count(), held))
+    rows = _blocked(values, piece_masks(max_bits, pieces))
     large = written(rows.groupBy("t", "k").agg(F.count("*").alias("n")).filter(F.col("n") > largest_block), "large-blocks")
     limits = ((slice(1, 2), max_bits), (slice(2, 2 + LONGS), check_bits))
     some = not large.isEmpty()
@@ -264,7 +270,7 @@ def similar_edges(values: DataFrame, max_bits: int, check_bits: int, largest_blo
     return edges
 
 
-def near_copies(docs: DataFrame, width: int = 5, max_bits: int = 7, check_bits: int = 46, largest_block: int = 20_000) -> DataFrame:
+def near_copies(docs: DataFrame, width: int = 5, max_bits: int = 7, check_bits: int = 46, largest_block: int = 20_000, pieces: int = 2) -> DataFrame:
     """doc_id, component_id: the smallest doc_id among the documents reached by links between similar texts.
 
     Two texts link if their words' fingerprints differ in max_bits of 64 or fewer, and their shingles' in check_bits of
@@ -282,7 +288,7 @@ def near_copies(docs: DataFrame, width: int = 5, max_bits: int = 7, check_bits:
     made = d.mapInArrow(per_batch(run), f"doc_id {d.schema['doc_id'].dataType.simpleString()}, " + ", ".join(f"{n} long" for n in names))
     each = written(made.withColumn("node", F.xxhash64(*names)), "copy-fingerprints")
     values = written(each.groupBy("node", *names).agg(F.min("doc_id").alias("least")), "values")
-    roots = connected_components(similar_edges(values.select("node", *names), max_bits, check_bits, largest_block))
+    roots = connected_components(similar_edges(values.select("node", *names), max_bits, check_bits, largest_block, pieces))
     rooted = values.select("node", "least").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     rooted = written(rooted, "rooted")
     least = written(rooted.groupBy("root").agg(F.min("least").alias("component_id")), "least")

@@ -123,8 +123,7 @@ def test_midpoints_for_odd_limits(spark):
 
 def test_masks_cover_all_pairs():
     r = random.Random(5)
-    for max_bits, n in ((4, 10), (4, 10**6), (6, 10**5)):
-        masks = simhash.block_masks(max_bits, n)
+    for max_bits, masks in ((4, simhash.block_masks(4, 10)), (4, simhash.block_masks(4, 10**6)), (7, simhash.piece_masks(7, 2)), (7, simhash.piece_masks(7, 3))):
         for _ in range(300):
             flips = sum(1 << b for b in r.sample(range(64), max_bits))
             assert any(flips & m == 0 for m in masks)
@@ -152,8 +151,8 @@ def test_near_copies_against_all_pairs(spark):
     docs = spark.createDataFrame([(i, t, "x") for i, t in zip(ids, texts)], "doc_id long, text string, node string")
     want = plain_copies(ids, texts)
     assert len(set(want.values())) < len(ids) - 20
-    for largest in (20_000, 6):
-        got = {r.doc_id: r.component_id for r in simhash.near_copies(docs, largest_block=largest).collect()}
+    for largest, pieces in ((20_000, 2), (6, 2), (20_000, 1)):
+        got = {r.doc_id: r.component_id for r in simhash.near_copies(docs, largest_block=largest, pieces=pieces).collect()}
         assert got == want
 
 
