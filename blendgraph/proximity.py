@@ -81,15 +81,39 @@ def gap_bounds(order: int, beta: float) -> dict:
     return {"k_split": k, "bound": 2 - 2 * beta ** (k + 1), "pre_bound": 1 - 2 * beta ** (k + 1) + 2 * beta ** (order + 1) + (order - 2 * k) / order, "applicable": order * (1 - beta) >= 1 and order > k}
 
 
-def largest_singular_value(m: DataFrame, rounds: int = 60, tol: float = 1e-10, seed: int = 3) -> float:
-    """Of (src, dst, value), by power iteration on the transposed product; each round is two join-aggregates, and one scalar
-    comes to the driver. The matrix is written once and the vector every round."""
-    m = settle(m.select("src", "dst", "value"), "matrix")
-    x = m.select(F.col("dst").alias("i")).distinct().withColumn("x", 1.0 + F.pmod(F.xxhash64(F.lit(seed), "i"), F.lit(1000)) / 1000.0)
+def dense_rooted_pagerank(p: np.ndarray, beta: float) -> np.ndarray:
+    """By the inverse: for small graphs and tests."""
+    return (1 - beta) * np.linalg.inv(np.eye(len(p)) - beta * p)
+
+
+def gap_weights(order: int, beta: float, eps: float = 1e-9) -> list[float]:
+    """Weight of each power of the transition, from 0 on, in rooted PageRank less the mean of the first `order` powers."""
+    last = max(order, math.ceil(math.log(eps) / math.log(beta)))
+    return [(1 - beta) * beta**k - (1 / order if 1 <= k <= order else 0.0) for k in range(last + 1)]
+
+
+def weighted_powers_times(lists: DataFrame, x: DataFrame, weights: list[float]) -> DataFrame:
+    """(i, x): the weighted sum of powers of a matrix, times a vector. lists(i, to) has what entry i gives to others, as
+    structs (j, p). No power is formed: a step is one join and one aggregation of vectors, which carry the sum so far."""
+    d = x.select("i", "x", (F.col("x") * weights[0]).alias("y"))
+    for w in weights[1:]:
+        d = d.join(lists, "i", "left")
+        d = d.select(F.inline(F.expr("concat(array(struct(i AS i, CAST(0 AS DOUBLE) AS x, y AS y)), transform(coalesce(to, array()), t -> struct(t.j AS i, t.p * x AS x, CAST(0 AS DOUBLE) AS y)))")))
+        d = d.groupBy("i").agg(F.sum("x").alias("x"), F.sum("y").alias("y")).select("i", "x", (F.col("y") + F.lit(w) * F.col("x")).alias("y"))
+    return d.select("i", F.col("y").alias("x"))
+
+
+def powers_norm(t: DataFrame, weights: list[float], rounds: int = 40, tol: float = 1e-6, seed: int = 3) -> float:
+    """Largest singular value of the weighted sum of the transition's powers, by power iteration. Work and shuffles are
+    linear in the edges; one scalar a round comes to the driver."""
+    listed = lambda a, b: settle(t.groupBy(F.col(a).alias("i")).agg(F.sort_array(F.collect_list(F.struct(F.col(b).alias("j"), F.col("p").alias("p")))).alias("to")), "lists")
+    # entry dst of a vector gives p to entry src of the product, and the other way round for the transposed one
+    forth, back = listed("dst", "src"), listed("src", "dst")
+    x = forth.select("i").union(back.select("i")).distinct().withColumn("x", 1.0 + F.pmod(F.xxhash64(F.lit(seed), "i"), F.lit(1000)) / 1000.0)
     last = 0.0
     for _ in range(rounds):
-        y = m.join(x.withColumnRenamed("i", "dst"), "dst").groupBy("src").agg(F.sum(F.col("value") * F.col("x")).alias("y"))
-        z = settle(m.join(y, "src").groupBy(F.col("dst").alias("i")).agg(F.sum(F.col("value") * F.col("y")).alias("x")), "vector")
+        y = settle(weighted_powers_times(forth, x, weights), "vector")
+        z = settle(weighted_powers_times(back, y, weights), "vector")
         norm = math.sqrt(z.agg(F.sum(F.col("x") * F.col("x"))).first()[0] or 0.0)
         if norm == 0:
             return 0.0
@@ -100,36 +124,12 @@ def largest_singular_value(m: DataFrame, rounds: int = 60, tol: float = 1e-10, s
     return math.sqrt(norm)
 
 
-def _dense(m: DataFrame, limit: int) -> np.ndarray | None:
-    """The matrix on the driver, if it has limit nodes or fewer."""
-    names = m.select(F.col("src").alias("i")).unionByName(m.select(F.col("dst").alias("i"))).distinct().orderBy("i").limit(limit + 1).collect()
-    if len(names) > limit:
-        return None
-    at = {r.i: k for k, r in enumerate(names)}
-    out = np.zeros((len(at), len(at)))
-    for r in m.collect():
-        out[at[r.src], at[r.dst]] += r[2]
-    return out
-
-
-def dense_rooted_pagerank(p: np.ndarray, beta: float) -> np.ndarray:
-    """By the inverse: for small graphs and tests."""
-    return (1 - beta) * np.linalg.inv(np.eye(len(p)) - beta * p)
-
-
-def proximity_gap(t: DataFrame, order: int, beta: float, small: int = 500) -> DataFrame:
+def proximity_gap(t: DataFrame, order: int, beta: float, eps: float = 1e-9, rounds: int = 40, tol: float = 1e-6) -> DataFrame:
     """One row: spectral norm of rooted PageRank minus the mean proximity, bounds, the transition's largest singular value and
     whether it is symmetric, which the bound supposes."""
     spark: SparkSession = t.sparkSession
-    p = t.select("src", "dst", F.col("p").alias("value"))
-    m = _dense(p, small)
-    if m is not None:
-        rpr, mean = dense_rooted_pagerank(m, beta), sum(np.linalg.matrix_power(m, k) for k in range(1, order + 1)) / order
-        gap, sigma = float(np.linalg.norm(rpr - mean, 2)), float(np.linalg.norm(m, 2))
-    else:
-        mean = expected_cooc(t, order).withColumn("value", -F.col("value"))
-        diff = rooted_pagerank(t, beta, 1e-9).unionByName(mean).groupBy("src", "dst").agg(F.sum("value").alias("value"))
-        gap, sigma = largest_singular_value(diff), largest_singular_value(p)
+    gap = powers_norm(t, gap_weights(order, beta, eps), rounds, tol)
+    sigma = powers_norm(t, [0.0, 1.0], rounds, tol)
     other = t.select(F.col("dst").alias("src"), F.col("src").alias("dst"), F.col("p").alias("q"))
     lopsided = t.join(other, ["src", "dst"], "left").filter(F.abs(F.col("p") - F.coalesce("q", F.lit(0.0))) > 1e-12).isEmpty()
     row = gap_bounds(order, beta) | {"gap": gap, "sigma_max": sigma, "premise_symmetric": lopsided, "order": order, "beta": beta}

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..checkpoints import settle
 from ..graph import mirrored
 from .tables import read_table
 
@@ -15,30 +16,45 @@ def tokens(text: Column) -> Column:
     return F.filter(F.split(F.lower(text), TOKEN), lambda t: t != "")
 
 
-def shared_item_graph(items: DataFrame, least_holders: int, most_holders: int, least_shared: int = 1) -> DataFrame:
+def shared_item_graph(items: DataFrame, least_holders: int, most_holders: int, least_shared: int = 1, beyond: str = "stars", more: DataFrame | None = None) -> DataFrame:
     """items(node, item), distinct -> an edge between nodes that share least_shared items or more, weight the number shared.
 
-    Only items held by least_holders to most_holders nodes count: that is the graph's definition, and it bounds the pairs
-    of an item, so no item's holders can make more than most_holders² / 2 rows.
+    An item held by least_holders to most_holders nodes links all of them. One held by more links them to the least of them
+    (beyond 'stars': a representative and its members, so that a host of any size stays connected and costs one edge a
+    node) or is no sign of likeness and links none ('none'). more(src, dst, weight) are edges to add.
     """
-    held = items.groupBy("item").agg(F.count("*").alias("n")).filter(F.col("n").between(max(2, least_holders), most_holders))
-    kept = items.join(held.select("item"), "item", "left_semi")
+    held = settle(items.groupBy("item").agg(F.count("*").alias("n"), F.min("node").alias("hub")).filter(F.col("n") >= max(2, least_holders)), "held")
+    kept = items.join(held.filter(F.col("n") <= most_holders).select("item"), "item", "left_semi")
     listed = kept.groupBy("item").agg(F.sort_array(F.collect_list("node")).alias("nodes"))
-    pairs = listed.select(F.explode(F.expr("flatten(transform(nodes, (a, i) -> transform(slice(nodes, i + 2, size(nodes)), b -> struct(a AS src, b AS dst))))")).alias("p"))
-    counted = pairs.groupBy("p.src", "p.dst").agg(F.count("*").cast("double").alias("weight")).filter(F.col("weight") >= least_shared)
-    return mirrored(counted)
+    pairs = listed.select(F.explode(F.expr("flatten(transform(nodes, (a, i) -> transform(slice(nodes, i + 2, size(nodes)), b -> struct(a AS src, b AS dst))))")).alias("p")).select("p.src", "p.dst")
+    if beyond == "stars":
+        stars = items.join(held.filter(F.col("n") > most_holders).select("item", "hub"), "item").filter("node <> hub")
+        pairs = pairs.unionByName(stars.select(F.col("hub").alias("src"), F.col("node").alias("dst")))
+    counted = pairs.groupBy("src", "dst").agg(F.count("*").cast("double").alias("weight")).filter(F.col("weight") >= least_shared)
+    return mirrored(counted if more is None else counted.unionByName(more))
 
 
-def shingle_graph(spark: SparkSession, sf_dir: str, least_shared: int = 2, width: int = 3, most_holders: int = 5, most_tokens: int = 2999) -> DataFrame:
-    """Documents that share word shingles."""
-    t = read_table(spark, sf_dir, "documents").select(F.col("doc_id").alias("node"), tokens(F.col("text")).alias("t"))
-    t = t.filter(F.size("t").between(width, most_tokens))
-    items = t.select("node", F.explode(F.expr(f"array_distinct(transform(sequence(1, size(t) - {width - 1}), i -> array_join(slice(t, i, {width}), ' ')))")).alias("item"))
-    return shared_item_graph(items, 2, most_holders, least_shared)
+def shingle_graph(spark: SparkSession, sf_dir: str, least_shared: int = 2, width: int = 3, most_holders: int = 5) -> DataFrame:
+    """Documents that share word shingles held by most_holders different texts or fewer.
+
+    Texts of equal words count once: their documents are linked to the first of them, by all their shingles, and only that
+    one looks for other texts. So a group of copies of any size is connected, and its shingles are no frequent ones.
+    Shingles travel as 128 bits of hash.
+    """
+    t = read_table(spark, sf_dir, "documents").select(F.col("doc_id").alias("node"), tokens(F.col("text")).alias("t")).filter(F.size("t") >= width)
+    shingles = F.expr(f"array_distinct(transform(sequence(1, size(t) - {width - 1}), i -> array_join(slice(t, i, {width}), ' ')))")
+    t = t.withColumn("key", F.sha2(F.array_join("t", " "), 256))
+    first = settle(t.groupBy("key").agg(F.min("node").alias("rep"), F.count("*").alias("copies")), "texts")
+    known = t.select("key", "node", shingles.alias("x")).join(first, "key")
+    # by a generator, through which the filter is not pushed: below, it would cut the text anew for each shingle
+    copies = known.filter("node <> rep").select(F.inline(F.array(F.struct(F.col("rep").alias("src"), F.col("node").alias("dst"), F.size("x").cast("double").alias("weight"))))).filter(F.col("weight") >= least_shared)
+    hashed = F.transform("x", lambda s: F.struct(F.xxhash64(s).alias("a"), F.xxhash64(s, F.lit(1)).alias("b")))
+    items = known.filter("node = rep").select("node", F.explode(hashed).alias("item"))
+    return shared_item_graph(items, 2, most_holders, least_shared, "none", copies)
 
 
 def line_graph(spark: SparkSession, sf_dir: str, least_chars: int = 10, most_holders: int = 20) -> DataFrame:
-    """Documents that share a line."""
+    """Documents that share a line; one that more than most_holders share links them to the first."""
     lines = read_table(spark, sf_dir, "documents").select(F.col("doc_id").alias("node"), F.explode(F.array_distinct(F.split("text", "\n"))).alias("item"))
     return shared_item_graph(lines.filter(F.length("item") >= least_chars), 2, most_holders)
 
@@ -85,13 +101,13 @@ def bipartite_graph(spark: SparkSession, sf_dir: str, offset: int = 1 << 40) ->
 
 
 def colink_graph(spark: SparkSession, sf_dir: str, least_shared: int = 4, most_holders: int = 1000) -> DataFrame:
-    """Pages that share link targets."""
+    """Pages that share link targets; one that more than most_holders share links them to the first."""
     items = read_table(spark, sf_dir, "pages").select(F.col("page_id").alias("node"), F.explode(F.array_distinct(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), 1))).alias("item"))
     return shared_item_graph(items, 2, most_holders, least_shared)
 
 
 def same_host_graph(spark: SparkSession, sf_dir: str, most_holders: int = 1000) -> DataFrame:
-    """Pages of one host: a union of cliques. Hosts of more than most_holders pages make none, which bounds the pairs."""
+    """Pages of one host: a union of cliques, and of stars for hosts of more than most_holders pages."""
     items = read_table(spark, sf_dir, "pages").select(F.col("page_id").alias("node"), F.regexp_extract("url", "://([^/?#]*)", 1).alias("item"))
     return shared_item_graph(items, 2, most_holders)
 

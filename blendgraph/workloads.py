@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import time
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -33,12 +34,10 @@ class Data:
         self.spark = edges.sparkSession
 
 
-def planted_data(spark: SparkSession, sf_dir: str, max_parts: int | None = None) -> Data:
-    """Planted parts with planted weak content. max_parts makes the graph small, for the methods that work on the driver."""
+def planted_data(spark: SparkSession, sf_dir: str) -> Data:
+    """Planted parts with planted weak content."""
     e, c = S.planted_graph(spark, sf_dir), S.planted_content(spark, sf_dir)
     labels = S.read_table(spark, sf_dir, "part").select(F.col("p_partkey").alias("node"), F.col("p_type").alias("label"))
-    if max_parts is not None:
-        e, c, labels = e.filter(f"src <= {max_parts} AND dst <= {max_parts}"), c.filter(f"node <= {max_parts}"), labels.filter(f"node <= {max_parts}")
     return Data(e, c, labels, "planted parts")
 
 
@@ -91,13 +90,13 @@ def _completed(r: M.FitResult, d: Data) -> DataFrame:
     return settle(r.complete(_all_nodes(d), d.content), "completed")
 
 
-def classify_semi_supervised(d: Data, per_class: int = 20, test: int = 1000, label_ratio: float = 0.01, fit: FitConfig = QUICK, seed: int = 7, methods: tuple[str, ...] = ("joint_labels", "squared_margin", "spectral_fusion", "context_label", "graph_conv"), max_nodes: int = 5000) -> DataFrame:
+def classify_semi_supervised(d: Data, per_class: int = 20, test: int = 1000, label_ratio: float = 0.01, fit: FitConfig = QUICK, walks: WalkConfig = WALKS, seed: int = 7, methods: tuple[str, ...] = ("joint_labels", "squared_margin", "spectral_fusion", "context_label", "graph_conv"), max_nodes: int = 5000) -> DataFrame:
     """As above, for methods that see the train labels, and those alone. label_ratio: label rounds over structure counts."""
     split = settle(E.split_per_class(d.labels, per_class, test, seed), "split")
     train = split.filter("part = 'train'").select("node", "label")
 
     def joint() -> float:
-        cooc = counts_of(d.edges)
+        cooc = counts_of(d.edges, walks)
         rounds = round(label_ratio * (cooc.agg(F.sum("cnt")).first()[0] or 0))
         return _accuracy(_completed(M.fit_joint(merge_counts(cooc, label_pairs(train, rounds, seed)), d.content, fit), d), split)
 
@@ -114,13 +113,13 @@ def classify_semi_supervised(d: Data, per_class: int = 20, test: int = 1000, lab
     return _rows(d.spark, [(d.name, m, runs[m]()) for m in methods], "dataset string, method string, accuracy double")
 
 
-def sensitivity_grid(d: Data, ks: tuple[float, ...] = (1.0, 5.0), ratios: tuple[float, ...] = (0.0, 0.01, 0.1), seeds: tuple[int, ...] = (1, 2), per_class: int = 20, test: int = 500, fit: FitConfig = QUICK.with_(max_outer=5)) -> DataFrame:
+def sensitivity_grid(d: Data, ks: tuple[float, ...] = (1.0, 5.0), ratios: tuple[float, ...] = (0.0, 0.01, 0.1), seeds: tuple[int, ...] = (1, 2), per_class: int = 20, test: int = 500, fit: FitConfig = QUICK.with_(max_outer=5), walks: WalkConfig = WALKS) -> DataFrame:
     """Mean accuracy over the seeds for each number of negatives k and each share of label rounds m (0: no labels)."""
     rows = []
     for seed in seeds:
         split = settle(E.split_per_class(d.labels, per_class, test, seed), "split")
         train = split.filter("part = 'train'").select("node", "label")
-        cooc = counts_of(d.edges, WalkConfig(seed=seed))
+        cooc = counts_of(d.edges, replace(walks, seed=seed))
         total = cooc.agg(F.sum("cnt")).first()[0] or 0
         for ratio in ratios:
             both = cooc if not ratio else settle(merge_counts(cooc, label_pairs(train, round(ratio * total), seed)), "merged")
@@ -131,9 +130,9 @@ def sensitivity_grid(d: Data, ks: tuple[float, ...] = (1.0, 5.0), ratios: tuple[
     return all_rows.groupBy("k", "label_ratio").agg(F.avg("accuracy").alias("accuracy"), F.coalesce(F.stddev("accuracy"), F.lit(0.0)).alias("spread"), F.count("*").alias("runs"))
 
 
-def embedding_picture(d: Data, fit: FitConfig = QUICK) -> DataFrame:
+def embedding_picture(d: Data, fit: FitConfig = QUICK, walks: WalkConfig = WALKS) -> DataFrame:
     """What a picture of the embedding would show, as numbers: separation of the classes by method."""
-    vectors = {"joint": M.fit_joint(counts_of(d.edges), d.content, fit).node_vec, "biased_skipgram": B.biased_walk_skipgram(d.edges, fit.dim, WalkConfig(walk_length=10, per_node=3)), "squared_content": B.fit_squared_content(d.edges, d.content, fit.dim)}
+    vectors = {"joint": M.fit_joint(counts_of(d.edges, walks), d.content, fit).node_vec, "biased_skipgram": B.biased_walk_skipgram(d.edges, fit.dim, replace(walks, walk_length=min(walks.walk_length, 6))), "squared_content": B.fit_squared_content(d.edges, d.content, fit.dim)}
     out = None
     for name, v in vectors.items():
         row = E.class_separation(settle(v, "vectors"), d.labels).select(F.lit(name).alias("method"), "within", "across", "knn_agreement")
@@ -144,16 +143,16 @@ def embedding_picture(d: Data, fit: FitConfig = QUICK) -> DataFrame:
 # --- link prediction --------------------------------------------------------------------------------------------------
 
 
-def predict_links(d: Data, fraction: float = 0.5, fit: FitConfig = QUICK, seed: int = 7, methods: tuple[str, ...] = ("joint", "counts_only", "skipgram", "squared_content", "squared_homophily", "common_neighbors", "jaccard", "adamic_adar", "attachment", "content_only", "chance")) -> DataFrame:
+def predict_links(d: Data, fraction: float = 0.5, fit: FitConfig = QUICK, walks: WalkConfig = WALKS, seed: int = 7, methods: tuple[str, ...] = ("joint", "counts_only", "skipgram", "squared_content", "squared_homophily", "common_neighbors", "jaccard", "adamic_adar", "attachment", "content_only", "chance")) -> DataFrame:
     """Hide edges, embed what is left, score hidden edges against as many non-edges: AUC and MAP."""
     residual, pairs, share = E.link_split(d.edges, fraction, seed)
-    cooc = counts_of(residual)
+    cooc = counts_of(residual, walks)
     cosine = lambda v: E.cosine_pairs(v, pairs)
     runs = {
         "joint": lambda: cosine(M.fit_joint(cooc, d.content, fit).complete(_all_nodes(d), d.content)),
         "counts_only": lambda: cosine(M.fit_counts_only(cooc, fit).node_vec),
-        "skipgram": lambda: cosine(B.uniform_walk_skipgram(residual, fit.dim)),
-        "biased_skipgram": lambda: cosine(B.biased_walk_skipgram(residual, fit.dim)),
+        "skipgram": lambda: cosine(B.uniform_walk_skipgram(residual, fit.dim, walks)),
+        "biased_skipgram": lambda: cosine(B.biased_walk_skipgram(residual, fit.dim, walks)),
         "squared_content": lambda: cosine(B.fit_squared_content(residual, d.content, fit.dim)),
         "squared_homophily": lambda: cosine(B.fit_squared_content(residual, d.content, fit.dim, homophily=0.5)),
         "common_neighbors": lambda: H.common_neighbors(residual, pairs),
@@ -170,51 +169,53 @@ def predict_links(d: Data, fraction: float = 0.5, fit: FitConfig = QUICK, seed:
     return _rows(d.spark, rows, "dataset string, method string, auc double, map double, hidden_share double")
 
 
-def case_study(d: Data, fit: FitConfig = QUICK) -> DataFrame:
+def case_study(d: Data, fit: FitConfig = QUICK, walks: WalkConfig = WALKS) -> DataFrame:
     """Two pairs of one class, one linked and one not, by hash order: their cosine in two embeddings."""
     lab = d.labels.select("node", "label")
     one = d.edges.filter("src < dst").join(lab.withColumnRenamed("node", "src"), "src").join(lab.select(F.col("node").alias("dst"), F.col("label").alias("l2")), "dst").filter("label = l2")
     linked = one.orderBy(F.xxhash64("src", "dst")).limit(1).select("src", "dst", F.lit(True).alias("linked"))
-    ends = d.edges.select(F.col("src").alias("node")).distinct().join(lab, "node").withColumn("r", F.expr("row_number() OVER (PARTITION BY label ORDER BY xxhash64(node))"))
+    # neighbours in hash order within a class, without the edges among them
+    ends = E.ranked_within(d.edges.select(F.col("src").alias("node")).distinct().join(lab, "node").withColumn("h", F.xxhash64("node")), "label", ["h", "node"], rank="r")
+    ends = settle(ends, "ends")
     other = ends.select("label", "r", F.col("node").alias("src")).join(ends.select("label", (F.col("r") - 1).alias("r"), F.col("node").alias("dst")), ["label", "r"])
     other = other.join(d.edges.select("src", "dst"), ["src", "dst"], "left_anti").orderBy(F.xxhash64("src", "dst")).limit(1).select("src", "dst", F.lit(False).alias("linked"))
     pairs = settle(linked.unionByName(other), "cases")
-    a = E.cosine_pairs(M.fit_joint(counts_of(d.edges), d.content, fit).node_vec, pairs).withColumnRenamed("score", "joint")
+    a = E.cosine_pairs(M.fit_joint(counts_of(d.edges, walks), d.content, fit).node_vec, pairs).withColumnRenamed("score", "joint")
     b = E.cosine_pairs(B.fit_squared_content(d.edges, d.content, fit.dim), pairs).withColumnRenamed("score", "squared_content")
     return a.join(b, ["src", "dst", "linked"])
 
 
-def window_ablation(d: Data, windows: tuple[int, ...] = (2, 5), fit: FitConfig = QUICK) -> DataFrame:
+def window_ablation(d: Data, windows: tuple[int, ...] = (2, 5), fit: FitConfig = QUICK, walks: WalkConfig = WALKS) -> DataFrame:
     """Link AUC with counts of a short and a long window."""
     residual, pairs, _ = E.link_split(d.edges)
     rows = []
     for w in windows:
-        cooc = counts_of(residual, WalkConfig(window=w))
+        cooc = counts_of(residual, replace(walks, window=w))
         s = settle(E.cosine_pairs(M.fit_joint(cooc, d.content, fit).node_vec, pairs), "scores")
         rows.append((w, float(cooc.count()), float(E.auc(s).first()[0])))
     return _rows(d.spark, rows, "window int, pairs double, auc double")
 
 
-def sparsity_effect(spark: SparkSession, sf_dir: str, fit: FitConfig = QUICK) -> DataFrame:
+def sparsity_effect(spark: SparkSession, sf_dir: str, fit: FitConfig = QUICK, walks: WalkConfig = WALKS) -> DataFrame:
     """Joint against counts only on sparser and denser graphs of the same documents."""
     docs = S.read_table(spark, sf_dir, "documents")
     content, labels = content_tfidf(docs), docs.select(F.col("doc_id").alias("node"), F.col("lang").alias("label"))
     out = None
     for name, e in (("shared lines", S.line_graph(spark, sf_dir)), ("two shingles", S.shingle_graph(spark, sf_dir)), ("one shingle", S.shingle_graph(spark, sf_dir, 1))):
         d = Data(e, content, labels, name)
-        r = predict_links(d, fit=fit, methods=("joint", "counts_only"))
+        r = predict_links(d, fit=fit, walks=walks, methods=("joint", "counts_only"))
         r = r.withColumn("edges", F.lit(d.edges.count() // 2))
         out = r if out is None else out.unionByName(r)
     return out
 
 
-def transfer(spark: SparkSession, sf_dir: str, dims: tuple[int, ...] = (8, 16), fit: FitConfig = QUICK.with_(max_outer=6)) -> DataFrame:
+def transfer(spark: SparkSession, sf_dir: str, dims: tuple[int, ...] = (8, 16), fit: FitConfig = QUICK.with_(max_outer=6), walks: WalkConfig = WALKS) -> DataFrame:
     """The dimension that is best on the documents' graph, used on the planted and the copurchase graph."""
     docs = document_data(spark, sf_dir)
-    tuned = max(dims, key=lambda k: predict_links(docs, fit=fit.with_(dim=k), methods=("joint",)).first().auc)
+    tuned = max(dims, key=lambda k: predict_links(docs, fit=fit.with_(dim=k), walks=walks, methods=("joint",)).first().auc)
     out = None
     for d in (planted_data(spark, sf_dir), copurchase_data(spark, sf_dir)):
-        r = predict_links(d, fit=fit.with_(dim=tuned), methods=("joint",)).withColumn("tuned_dim", F.lit(tuned))
+        r = predict_links(d, fit=fit.with_(dim=tuned), walks=walks, methods=("joint",)).withColumn("tuned_dim", F.lit(tuned))
         out = r if out is None else out.unionByName(r)
     return out
 
@@ -226,18 +227,18 @@ def copurchase_data(spark: SparkSession, sf_dir: str, least_shared: int = 2) ->
     return Data(S.copurchase_graph(spark, sf_dir, least_shared), content_onehot(part, "p_partkey", ["p_brand", "p_size"]), labels, "copurchase")
 
 
-def negative_control(spark: SparkSession, sf_dir: str, fit: FitConfig = QUICK) -> DataFrame:
+def negative_control(spark: SparkSession, sf_dir: str, fit: FitConfig = QUICK, walks: WalkConfig = WALKS) -> DataFrame:
     """Labels that nothing explains must stay at chance: the vectors of the embeddings table and their label."""
     v = S.read_table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("node"), F.col("embedding").cast("array<double>").alias("w"), F.col("label").cast("string").alias("label"))
     split = settle(E.split_per_class(v.select("node", "label"), 20, 1000), "split")
     rows = [("embeddings", _accuracy(v.select("node", "w"), split), float(E.accuracy(E.majority_class(split)).first().accuracy))]
     d = copurchase_data(spark, sf_dir)
     split = settle(E.split_per_class(d.labels, 20, 1000), "split")
-    rows.append(("copurchase", _accuracy(M.fit_joint(counts_of(d.edges), d.content, fit).node_vec, split), float(E.accuracy(E.majority_class(split)).first().accuracy)))
+    rows.append(("copurchase", _accuracy(M.fit_joint(counts_of(d.edges, walks), d.content, fit).node_vec, split), float(E.accuracy(E.majority_class(split)).first().accuracy)))
     return _rows(spark, rows, "dataset string, accuracy double, majority double")
 
 
-def user_recommendation(spark: SparkSession, sf_dir: str, fit: FitConfig = QUICK.with_(max_outer=5)) -> DataFrame:
+def user_recommendation(spark: SparkSession, sf_dir: str, fit: FitConfig = QUICK.with_(max_outer=5), walks: WalkConfig = WALKS) -> DataFrame:
     """Users' relations with their features: the users' graph with event types as content."""
     e = S.read_table(spark, sf_dir, "events").groupBy("user_id", "event_type").agg(F.count("*").cast("double").alias("value"))
     types = e.select("event_type").distinct()
@@ -249,17 +250,17 @@ def user_recommendation(spark: SparkSession, sf_dir: str, fit: FitConfig = QUICK
     from .content import normalized
 
     d = Data(edges, normalized(users).unionByName(keys), users.select("node", F.lit("user").alias("label")).distinct(), "users and keys")
-    return predict_links(d, 0.2, fit, methods=("joint", "common_neighbors", "attachment", "chance"))
+    return predict_links(d, 0.2, fit, walks, methods=("joint", "common_neighbors", "attachment", "chance"))
 
 
-def isolated_rescue(spark: SparkSession, sf_dir: str, ratio: float = 0.02, fit: FitConfig = QUICK, seed: int = 7, max_parts: int | None = 800) -> DataFrame:
+def isolated_rescue(spark: SparkSession, sf_dir: str, ratio: float = 0.02, fit: FitConfig = QUICK, walks: WalkConfig = WALKS, seed: int = 7) -> DataFrame:
     """Every fifth part is cut off, half of those are labelled: how often the nearest connected nodes have a cut-off node's
     class, without and with label context."""
-    d = planted_data(spark, sf_dir, max_parts)
+    d = planted_data(spark, sf_dir)
     cut = d.labels.filter("node % 5 = 0").select("node", "label", ((F.col("node") / 5).cast("long") % 2 == 0).alias("labelled"))
     edges = settle(d.edges.filter("src % 5 <> 0 AND dst % 5 <> 0"), "cut")
-    known = cut.filter("labelled").select("node", "label").unionByName(d.labels.filter("node % 5 <> 0").withColumn("r", F.expr("row_number() OVER (PARTITION BY label ORDER BY node)")).filter("r <= 20").select("node", "label"))
-    cooc = counts_of(edges)
+    known = cut.filter("labelled").select("node", "label").unionByName(E.split_per_class(d.labels.filter("node % 5 <> 0"), 20, 0, seed).filter("part = 'train'").select("node", "label"))
+    cooc = counts_of(edges, walks)
     total = cooc.agg(F.sum("cnt")).first()[0] or 0
     rows = []
     for share in (0.0, ratio):
@@ -278,20 +279,22 @@ def isolated_rescue(spark: SparkSession, sf_dir: str, ratio: float = 0.02, fit:
 
 
 def scale_stages(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Seconds and rows of each stage on the copurchase graph."""
+    """Seconds and rows of each stage on the copurchase and the bipartite graph."""
     rows = []
 
     def timed(name: str, f: Callable[[], DataFrame]) -> DataFrame:
         t = time.time()
-        out = settle(f(), name)
+        out = settle(f(), name.replace(" ", "-"))
         n = out.count()
         rows.append((name, n, time.time() - t))
         return out
 
-    e = timed("graph", lambda: S.copurchase_graph(spark, sf_dir))
-    timed("transition", lambda: G.transition(e))
-    w = timed("walks", lambda: sample_walks(e, WalkConfig(walk_length=10, per_node=2)))
-    c = timed("counts", lambda: count_pairs(w, WalkConfig(walk_length=10, per_node=2)))
-    timed("marginals", lambda: M.pair_cap(c))
-    timed("two_hop_mean", lambda: two_hop_mean(G.transition(e.filter("weight > 1"))))
+    few = WalkConfig(walk_length=10, per_node=2)
+    for name, graph in (("copurchase", lambda: S.copurchase_graph(spark, sf_dir)), ("bipartite", lambda: S.bipartite_graph(spark, sf_dir))):
+        e = timed(f"{name} graph", graph)
+        timed(f"{name} transition", lambda: G.transition(e))
+        w = timed(f"{name} walks", lambda: sample_walks(e, few))
+        c = timed(f"{name} counts", lambda: count_pairs(w, few))
+        timed(f"{name} caps", lambda: M.pair_cap(c))
+    timed("copurchase two_hop_mean", lambda: two_hop_mean(G.transition(S.copurchase_graph(spark, sf_dir, 2))))
     return _rows(spark, rows, "stage string, n long, seconds double")
