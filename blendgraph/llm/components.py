@@ -24,9 +24,10 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     mark = _mark(e)
     for _ in range(max_rounds):
         both = e.unionByName(e.selectExpr("v AS u", "u AS v"))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).selectExpr("u", "least(u, m) AS m")
-        large = both.join(least, "u").filter("v > u").selectExpr("v AS u", "m AS v").distinct()
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
+        # the least are written before each join, so that both sides come by an exchange and a hub's side can be split
+        least = written(both.groupBy("u").agg(F.min("v").alias("m")).selectExpr("u", "least(u, m) AS m"), "least")
+        large = written(both.join(least, "u").filter("v > u").selectExpr("v AS u", "m AS v").distinct(), "large-stars")
+        least = written(large.groupBy("u").agg(F.min("v").alias("m")), "least")
         small = large.join(least, "u").selectExpr("v AS u", "m AS v").filter("u <> v").unionByName(least.selectExpr("u", "m AS v"))
         e = written(small.distinct(), "edges")
         if (now := _mark(e)) == mark:

@@ -82,7 +82,7 @@ def _sent_items(items: DataFrame, width: int, max_item_mb: float):
     size = (items.selectExpr("sum(octet_length(text)) AS n").first().n or 0) / 1e6
     if size > 64 * max_item_mb:
         raise ValueError(f"{size:.0f} MB of items; this scan takes {64 * max_item_mb:.0f} MB")
-    rows = sorted(((r[0], (r[1] or "").encode()) for r in items.select("item_id", "text").distinct().collect()), key=str)
+    rows = sorted(((r[0], (r[1] or "").encode()) for r in items.filter("item_id IS NOT NULL").select("item_id", "text").distinct().collect()), key=str)
     blocks: list[list[tuple]] = [[]]
     room = max_item_mb * 1e6
     for row in rows:
@@ -101,8 +101,9 @@ def find_contamination(docs: DataFrame, items: DataFrame, width: int = 10, max_i
     not shuffled. Test sets are small by nature: the items go to the executors, in automata of max_item_mb at most,
     and a set over 64 of those is refused. Matches' offsets lead back to the text by the words they cover.
 
-    Null or empty text: no words, not contaminated. Null or empty item: no window. Repeated items: one of them.
-    Extra columns are ignored.
+    Null or empty text: no words, not contaminated. Null or empty item: no window. Repeated items: one of them. An item
+    without an id is none, as it could not be named. Empty tables: no rows, or no hits. Extra columns are ignored; repeated
+    documents are judged each. A long text is held once with its words.
     """
     scanners = _sent_items(items, width, max_item_mb)
     none = hashlib.sha256(b"").hexdigest()
@@ -132,7 +133,8 @@ def find_contamination(docs: DataFrame, items: DataFrame, width: int = 10, max_i
 
 
 def drop_contaminated(docs: DataFrame, items: DataFrame, width: int = 10, max_item_mb: float = MAX_ITEM_MB) -> DataFrame:
-    """docs, all columns, without the contaminated ones. No shuffle: the text is judged where it is read."""
+    """docs, all columns, without the contaminated ones, judged as by find_contamination. No shuffle: the text is judged
+    where it is read. Null and empty texts stay, whatever their other columns hold; an empty table gives an empty one."""
     scanners, at = _sent_items(items, width, max_item_mb), docs.columns.index("text")
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:

@@ -294,9 +294,12 @@ def remove_repeats(docs: DataFrame, length: int = 200, gram: int = GRAM, largest
 
     Every byte covered by a string of length bytes that starts anywhere else too is removed, from all its places.
     Null text counts as empty. Equal rows are documents of their own, so they remove each other. A null doc_id is an id
-    like any other. Extra columns are ignored. Empty table: no rows.
+    like any other, and ids may be of any type. Extra columns are ignored. Empty table: no rows. A long text is read in
+    pieces of PIECE bytes.
     """
-    rows = docs.select(F.coalesce(F.col("doc_id"), F.lit(-(1 << 62))).alias("sb_doc"), F.xxhash64("text").alias("sb_row"), "text")
+    # joins want a key that is never null: the id with a mark for none, whatever its type
+    rows = docs.select(F.struct(F.col("doc_id").isNull().alias("none"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("id")).alias("sb_id"), "doc_id", "text")
+    rows = rows.select(F.to_json("sb_id").alias("sb_doc"), F.xxhash64("text").alias("sb_row"), "doc_id", "text")
     found = repeated_suffixes(rows, length, gram, largest).groupBy("sb_doc", "sb_row").agg(F.collect_list(F.struct("sb_start", "sb_count")).alias("sb_found"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -318,7 +321,6 @@ def remove_repeats(docs: DataFrame, length: int = 200, gram: int = GRAM, largest
             kinds = [pa.int64()] * 3 + [pa.string(), pa.binary()]
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(cols, kinds))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
 
-    joined = rows.join(found, ["sb_doc", "sb_row"], "left").select("sb_doc", "text", "sb_found")
+    joined = rows.join(found, ["sb_doc", "sb_row"], "left").select("doc_id", "text", "sb_found")
     id_type = docs.schema["doc_id"].dataType.simpleString()
-    out = joined.mapInArrow(run, f"doc_id {id_type}, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
-    return out.withColumn("doc_id", F.nullif(F.col("doc_id"), F.lit(-(1 << 62))))
+    return joined.mapInArrow(run, f"doc_id {id_type}, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")

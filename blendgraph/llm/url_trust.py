@@ -52,7 +52,8 @@ def propagate(edges: DataFrame, seeds: DataFrame, rounds: int = 10, damping_perc
     the hosts it has edges to; seeds get the rest of UNIT anew in each round. A hub's edges join with its one score.
     Rounds are written to the shared folder every fifth time.
     """
-    degree = edges.groupBy("kind", "src").agg(F.count("*").alias("n"))
+    edges = written(edges, "edges")
+    degree = written(edges.groupBy("kind", "src").agg(F.count("*").alias("n")), "degrees")
     paths = written(edges.join(degree, ["kind", "src"]).select("kind", "src", "dst", "n"), "host-edges")
     source = written(seeds.select("kind", "host").distinct(), "seeds")
     fresh = source.select("kind", "host", F.lit(UNIT * (100 - damping_percent) // 100).cast("long").alias("score"))
@@ -72,7 +73,7 @@ def judge_urls(pages: DataFrame, rules: tuple[tuple[str, str], ...] = RULES, blo
     Hosts with a page that an allow rule fits are the trusted seeds, those with a blocked page the blocked ones; trust
     runs along the edges, distrust against them. Without a fitting rule a page is blocked if its host's distrust is over
     block_share_percent of its trust and distrust together, else allowed. Null url: no host, no path, allowed.
-    Null or empty html: no links. Repeated rows are judged each; extra columns are ignored; an empty table gives no rows.
+    Of rules of equal length the last by name wins. Null or empty html: no links; a long one is read once. Repeated rows are judged each; extra columns are ignored; an empty table gives no rows.
     """
     host, path = url_parts(F.col("url"))
     p = pages.select("page_id", host.alias("host"), path.alias("path"), "html")
@@ -82,6 +83,7 @@ def judge_urls(pages: DataFrame, rules: tuple[tuple[str, str], ...] = RULES, blo
     both = edges.select(F.lit(0).alias("kind"), "src", "dst").unionByName(edges.select(F.lit(1).alias("kind"), F.col("dst").alias("src"), F.col("src").alias("dst")))
     seeds = judged.filter("ruled IS NOT NULL AND host <> ''").select(F.expr("IF(ruled = 'allow', 0, 1)").alias("kind"), "host").distinct()
     scores = propagate(both, seeds, rounds).groupBy("host").agg(*[F.coalesce(F.sum(F.when(F.col("kind") == k, F.col("score"))), F.lit(0)).alias(name) for k, name in ((0, "trust"), (1, "distrust"))])
-    out = judged.join(scores, "host", "left").fillna(0, ["trust", "distrust"])
+    # written first, so that the pages of a large host come by an exchange of their own and can be split
+    out = judged.join(written(scores, "host-scores"), "host", "left").fillna(0, ["trust", "distrust"])
     method = F.when(F.col("distrust") * 100 > (F.col("trust") + F.col("distrust")) * block_share_percent, "block").otherwise("allow")
     return out.select("page_id", "host", "path", "rule", F.coalesce("ruled", method).alias("verdict"), "trust", "distrust")

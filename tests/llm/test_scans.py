@@ -213,3 +213,70 @@ def test_url_trust_against_sql(spark):
     assert (by[1].rule, by[3].rule, by[5].rule, by[6].rule, by[9].rule) == ("example.net/en/", "net/", "example.com/de/", "org/fr/", None)
     assert by[11].verdict == "block" and by[11].path == "/p://q/r" and by[12].verdict == "allow" and by[7].host == ""
     assert url_trust.judge_urls(df.limit(0)).collect() == []
+
+
+def plain_trust(pages, rules, rounds=10):
+    """Verdicts by dictionaries: rules, links of hosts, and both walks in whole numbers."""
+    lower = lambda x: re.sub("[A-Z]", lambda m: m[0].lower(), x)
+    parts = {}
+    for i, url, _ in pages:
+        rest = (url or "").partition("://")[2]
+        h = re.match("[^/?#]*", rest)[0]
+        parts[i] = lower(h), re.match("[^?#]*", rest[len(h) :])[0]
+
+    def rule_of(host, path):
+        fits = [(len(r), r, what) for what, r in rules for own, _, p in [r.partition("/")] if (host == own or host.endswith("." + own)) and path.startswith("/" + p)]
+        return max(fits)[1:] if fits else (None, None)
+
+    edges = set()
+    for i, _, html in pages:
+        for m in re.finditer(r"""<a\s[^>]*?href\s*=\s*["']?\s*((?:https?:)?//[^"'\s>]+)""", html or "", re.I):
+            edges.add((parts[i][0], lower(re.match("[^/?#]*", m[1].partition("//")[2])[0])))
+    edges = {(a, b) for a, b in edges if a and b and a != b}
+    for h in {p[0] for p in parts.values()} | {b for _, b in edges}:
+        up = re.fullmatch(r"[^.]+\.([^.]+\.[^.]+\..+)", h)
+        if up:
+            edges |= {(h, up[1]), (up[1], h)}
+    found = []
+    for what, way in (("allow", edges), ("block", {(b, a) for a, b in edges})):
+        seeds = {parts[i][0] for i in parts if rule_of(*parts[i])[1] == what} - {""}
+        out = Counter(a for a, _ in way)
+        score = {s: url_trust.UNIT for s in seeds}
+        for _ in range(rounds):
+            new = Counter({s: url_trust.UNIT * 15 // 100 for s in seeds})
+            for a, b in way:
+                new[b] += score.get(a, 0) * 85 // (100 * out[a])
+            score = new
+        found.append(score)
+    rows = []
+    for i in parts:
+        trust, distrust = (s.get(parts[i][0], 0) for s in found)
+        rule, what = rule_of(*parts[i])
+        rows.append((i, *parts[i], rule, what or ("block" if distrust * 100 > (trust + distrust) * 50 else "allow")))
+    return sorted(rows)
+
+
+def test_url_trust_against_plain(spark):
+    r = random.Random(4)
+    hosts = ["a.net", "x.a.net", "www.x.a.net", "b.example.net", "example.com", "c.org", "d.io", "e.io", "f.io", "g.h.io", "k.g.h.io", "z.example.com"]
+    pages = []
+    for i in range(60):
+        links = "".join(f"<A class=q HREF='{r.choice(['http:', 'https:', ''])}//{r.choice(hosts).upper()}/p{r.randrange(9)}'>t</a>" for _ in range(r.randrange(4)))
+        pages.append((i, r.choice([None, "none"] + [f"http://{h}{p}" for h in hosts for p in ("", "/en/1", "/de/?x", "/fr/#y", "/")]), r.choice([links, None, ""]) if i % 7 else links))
+    got = url_trust.judge_urls(spark.createDataFrame(pages, "page_id long, url string, html string"))
+    assert rows(got, "page_id", "host", "path", "rule", "verdict") == sorted(plain_trust(pages, url_trust.RULES), key=str)
+
+
+def test_long_texts_count_alike(monkeypatch):
+    r = random.Random(3)
+    texts = [" ".join(r.choice(["a", "b", "cc", "d\n", "é"]) for _ in range(n)) for n in (0, 3, 5, 40, 900, 3000)] + [t or "" for t in ODD]
+    want = [line_quality.base_counts(t.encode()) for t in texts]
+    monkeypatch.setattr(line_quality, "PIECE", 16)
+    assert [line_quality.base_counts(t.encode()) for t in texts] == want
+
+
+def test_items_without_an_id_are_none(spark):
+    docs = spark.createDataFrame([(1, "one two three four")], "doc_id long, text string")
+    items = spark.createDataFrame([(None, "one two"), (5, "three four")], "item_id long, text string")
+    r = decontamination.find_contamination(docs, items).first()
+    assert (r.n_items, r.n_hit) == (1, 2)

@@ -83,3 +83,10 @@ def test_empty_table_null_ids_and_repeats(spark):
     t = "".join(chr(97 + i * i % 26) for i in range(300))
     rows = suffix_blocks.remove_repeats(spark.createDataFrame([(None, t + "q"), (1, t), (1, t), (2, "a")], "doc_id long, text string")).collect()
     assert sorted((r.doc_id or 0, r.n_removed) for r in rows) == [(0, 300), (1, 300), (1, 300), (2, 0)]
+
+
+def test_ids_of_other_types(spark):
+    text = "".join(chr(97 + i * i * 7 % 26) for i in range(300))
+    docs = spark.createDataFrame([("abc", text), (None, text), ("", "x"), (None, None)], "doc_id string, text string")
+    got = sorted((r.doc_id or "-", r.n_bytes, r.n_removed) for r in suffix_blocks.remove_repeats(docs).collect())
+    assert got == [("-", 0, 0), ("-", 1, 0), ("-", 300, 300), ("abc", 300, 300)]
