@@ -112,6 +112,13 @@ def planted_content(spark, sf_dir):
     return S.planted_content(spark, sf_dir)
 
 
+def planted_source(spark, sf_dir):
+    """The rule's graph by the data source, with as many nodes as there are parts."""
+    spark.dataSource.register(S.PlantedEdges)
+    n = S.read_table(spark, sf_dir, "part").count()
+    return spark.read.format("planted_edges").option("nodes", n).option("parts", 8).load()
+
+
 def graph_checks(spark, sf_dir):
     return G.validate(_edges(spark, sf_dir))
 
@@ -678,7 +685,7 @@ def scale_stages(spark, sf_dir):
 
 ALL: tuple[Query, ...] = (
     graph_planted, graph_shingle, graph_shingle_dense, graph_line, graph_copurchase, graph_bipartite, graph_colink, graph_same_host, graph_user_key,
-    planted_content, graph_checks, degree_stats, transition_probs, symmetric_transition, components_documents, two_core, transition_power2, proximity_sum_l3,
+    planted_content, planted_source, graph_checks, degree_stats, transition_probs, symmetric_transition, components_documents, two_core, transition_power2, proximity_sum_l3,
     two_hop_mean, expected_cooc_walk_weights, rooted_pagerank_roots, proximity_gap, proximity_gap_facts, walks_md5, cooc_all_w3, cooc_strict, cooc_forward,
     cooc_sampled, cooc_offset_uniform, walks_stationary, walks_biased, label_pairs_md5, label_pairs_expected, cooc_merged, isolated_documents, marginals,
     cap_at_pairs, shifted_pmi, content_tfidf_top, content_onehot_parts, context_dictionary_d4, loss_init_d4, grad_nodes_d4, grad_features_d4, one_node_step_d4,

@@ -1,6 +1,7 @@
 """Streams, SQL functions, operators, sources and baselines."""
 
 import datetime as dt
+import time
 
 import pytest
 from pyspark.sql import functions as F
@@ -133,4 +134,61 @@ def test_two_cliques_are_told_apart(spark):
 
 def test_planted_counts_of_the_smallest_tables(spark):
     assert S.planted_graph(spark, SF).count() == 2 * 656 and S.copurchase_graph(spark, SF).count() == 2 * 8899
-    assert S.same_host_graph(spark, SF).count() == 2 * 34 and S.shingle_graph(spark, SF).count() == 2 * 419
+    assert S.same_host_graph(spark, SF).count() == 2 * 34 and S.shingle_graph(spark, SF).count() == 2 * 386
+
+
+def test_planted_source_as_table_and_stream(spark, tmp_path):
+    from blendgraph.sources import PlantedEdges
+
+    spark.dataSource.register(PlantedEdges)
+    load = lambda read: read.format("planted_edges").option("nodes", 60).option("rowsPerBatch", 25).load()
+    want = {(a, b) for a in range(60) for b in range(a + 1, a + 121) if (7919 * a + 104729 * b) % 1009 < (200 if a % 6 == b % 6 else 8)}
+    table = load(spark.read)
+    assert {(r.src, r.dst) for r in table.collect()} == want and table.rdd.getNumPartitions() == 4
+    q = load(spark.readStream).writeStream.format("memory").queryName("planted").option("checkpointLocation", str(tmp_path / "c")).start()
+    try:
+        for _ in range(60):
+            if spark.table("planted").count() == len(want):
+                break
+            time.sleep(0.5)
+        assert {(r.src, r.dst) for r in spark.table("planted").collect()} == want
+    finally:
+        q.stop()
+
+
+def test_graphs_keep_frequent_items(spark):
+    from blendgraph.sources.graphs import shared_item_graph
+
+    items = spark.createDataFrame([(i, "host") for i in range(30)] + [(i, "small") for i in (3, 7, 9)], "node long, item string")
+    got = {(r.src, r.dst): r.weight for r in shared_item_graph(items, 2, 10).collect()}
+    assert got == {**{(0, i): 1.0 for i in range(1, 30)}, **{(i, 0): 1.0 for i in range(1, 30)}, **{(a, b): 1.0 for a in (3, 7, 9) for b in (3, 7, 9) if a != b}}
+    assert len(shared_item_graph(items, 2, 10, beyond="none").collect()) == 6
+
+
+def test_copies_of_any_number_are_connected(spark, tmp_path):
+    from blendgraph.sources import shingle_graph
+
+    text = " ".join(f"w{i}" for i in range(12))
+    rows = [(i, text if i < 20 else text + f" tail{i} end{i}" if i < 23 else f"alone {i} x y z") for i in range(25)] + [(99, None)]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    got = {(r.src, r.dst): r.weight for r in shingle_graph(spark, str(tmp_path)).collect()}
+    assert all(got[0, i] == 10.0 for i in range(1, 20)) and got[0, 20] == got[20, 21] == 10.0
+    assert not any(23 in k or 24 in k or 99 in k for k in got)
+
+
+def test_folds_and_hashed_neighbors(spark):
+    import numpy as np
+
+    from blendgraph import evaluate as E
+
+    labels = spark.createDataFrame([(i, "a" if i < 13 else "b") for i in range(20)], "node long, label string")
+    sizes = {}
+    for r in E.folds(labels, 5).collect():
+        sizes[r.label, r.fold] = sizes.get((r.label, r.fold), 0) + 1
+    assert [sizes["a", k] for k in range(1, 6)] == [3, 3, 3, 2, 2] and [sizes["b", k] for k in range(1, 6)] == [2, 2, 1, 1, 1]
+    r = np.random.default_rng(0)
+    v = spark.createDataFrame([(i, [float(x) for x in r.normal(size=8)]) for i in range(200)], "node long, w array<double>")
+    asked = v.filter("node % 20 = 0").select("node")
+    exact = {(x.node, x.neighbor) for x in E.top_k_neighbors(v, 3, asked).collect()}
+    found = {(x.node, x.neighbor) for x in E.top_k_hashed(v, 3, asked).collect()}
+    assert len(exact & found) >= 0.9 * len(exact) == 27
