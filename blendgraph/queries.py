@@ -631,7 +631,7 @@ def classify_semi_supervised(spark, sf_dir):
 
 
 def sensitivity_grid(spark, sf_dir):
-    return W.sensitivity_grid(_data(spark, sf_dir), (1.0, 5.0), (0.0, 0.05), (1, 2, 3), 20, 1000, LONG.with_(max_outer=4), WALKS)
+    return W.sensitivity_grid(_data(spark, sf_dir), (1.0, 5.0), (0.0, 0.05), (1, 2, 3), 20, 1000, SMALL, WALKS)
 
 
 def embedding_picture(spark, sf_dir):
