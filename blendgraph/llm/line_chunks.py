@@ -93,7 +93,8 @@ def drop_repeated_chunks(docs: DataFrame, modulus: int = MODULUS, runs: bool = F
     """docs, all columns, without the chunks of several lines that stand elsewhere before; adds lc_removed_chunks and lc_removed_lines.
 
     The first place of a chunk is in the smallest doc_id that has it. Only chunks of two lines or more with a word in
-    them count. Null text stays null, empty text empty. Rows without a doc_id are left as they are and are no first
+    them count. Null text stays null, empty text empty, and an empty table gives an empty one. A long text is one row of
+    lines. Rows without a doc_id are left as they are and are no first
     place. Equal rows are one document. Columns whose names start with lc_ are replaced. No Python runs: split, hash,
     group and join are Spark's. A chunk that a third of all documents hold is one row for each task before it is
     shuffled, and joins with one row on the other side, so its large side can be split.

@@ -69,7 +69,10 @@ def plan_mixture(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), share: f
 
 
 def mix(docs: DataFrame, **options) -> DataFrame:
-    """The mixed documents: each row of docs as often as its copies, with mx_copy counting from 1."""
+    """The mixed documents: each row of docs as often as its copies, with mx_copy counting from 1.
+
+    Nulls, empty and repeated rows and reserved names as in plan_mixture; rows without words may be taken, and count
+    nothing. An empty table gives an empty one."""
     docs = docs.drop(*[c for c in docs.columns if c.startswith("mx_")])
     planned = plan_mixture(docs, **options).filter("mx_copies > 0")
     out = planned.withColumn("mx_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("mx_copies"))))

@@ -119,8 +119,9 @@ def drop_repeated_spans(docs: DataFrame, width: int = 3, min_words: int = 12) ->
     """docs, all columns, without the sentences covered by a run that stands elsewhere before; adds ss_sentences and ss_removed.
 
     Every run of width consecutive sentences with min_words words or more is hashed to 128 bits and joined globally. Null
-    text stays null. Rows without a doc_id are left as they are. Equal rows are one document. Columns whose names start
-    with ss_ are replaced. Texts move once, by doc_id, to meet the numbers of their runs.
+    text stays null, empty text empty, and an empty table gives an empty one. Rows without a doc_id are left as they are. Equal rows are one document. Columns whose names start
+    with ss_ are replaced. Of a long text the bounds and hashes of all sentences are held beside it. Texts move once, by
+    doc_id, to meet the numbers of their runs.
     """
     docs = docs.drop(*[c for c in docs.columns if c.startswith("ss_")])
     rows = _rows(docs)
