@@ -45,11 +45,12 @@ def shingle_graph(spark: SparkSession, sf_dir: str, least_shared: int = 2, width
     shingles = F.expr(f"array_distinct(transform(sequence(1, size(t) - {width - 1}), i -> array_join(slice(t, i, {width}), ' ')))")
     t = t.withColumn("key", F.sha2(F.array_join("t", " "), 256))
     first = settle(t.groupBy("key").agg(F.min("node").alias("rep"), F.count("*").alias("copies")), "texts")
-    known = t.select("key", "node", shingles.alias("x")).join(first, "key")
-    # by a generator, through which the filter is not pushed: below, it would cut the text anew for each shingle
-    copies = known.filter("node <> rep").select(F.inline(F.array(F.struct(F.col("rep").alias("src"), F.col("node").alias("dst"), F.size("x").cast("double").alias("weight"))))).filter(F.col("weight") >= least_shared)
     hashed = F.transform("x", lambda s: F.struct(F.xxhash64(s).alias("a"), F.xxhash64(s, F.lit(1)).alias("b")))
-    items = known.filter("node = rep").select("node", F.explode(hashed).alias("item"))
+    known = t.select("key", "node", shingles.alias("x")).join(first, "key").select("node", "rep", hashed.alias("x"))
+    # written, as three joins read it; and filters on it would be pushed below, where they cut the text anew for each shingle
+    known = settle(known, "shingles")
+    copies = known.filter("node <> rep").select(F.col("rep").alias("src"), F.col("node").alias("dst"), F.size("x").cast("double").alias("weight")).filter(F.col("weight") >= least_shared)
+    items = known.filter("node = rep").select("node", F.explode("x").alias("item"))
     return shared_item_graph(items, 2, most_holders, least_shared, "none", copies)
 
 
