@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from .checkpoints import settle
 from .config import WalkConfig
-from .factorize import Contexts, gather_contexts, init_vectors
+from .factorize import Contexts, gather_contexts, init_vectors, summed, vec_sum
 from .graph import degrees, transition
 from .proximity import two_hop_mean
 from .walks import sample_walks, sample_walks_biased
@@ -249,6 +249,96 @@ def fit_graph_conv(edges: DataFrame, content: DataFrame, labels: DataFrame, hidd
     return edges.sparkSession.createDataFrame(pa.table({"node": pa.array(g.ids.astype(np.int64)), "predicted": pa.array([classes[i] for i in best])}))
 
 
+def fit_graph_conv_joins(edges: DataFrame, content: DataFrame, labels: DataFrame, hidden: int = 16, epochs: int = 60, rate: float = 0.01, decay: float = 5e-4, seed: int = 7, max_features: int = 100_000) -> DataFrame:
+    """fit_graph_conv for graphs of any size: propagation by joins, weights (features × hidden, hidden × classes) on the driver.
+
+    Only the labelled nodes have a loss, so an epoch reads their edges and the content propagated to their neighbours; sums of
+    gradients are made on each task before they come to the driver.
+    """
+    spark = edges.sparkSession
+    known = settle(labels.select("node", "label"), "known")
+    classes = [r.label for r in known.select("label").distinct().orderBy("label").collect()]
+    features = np.sort(content.select("feature").distinct().toArrow().column(0).to_numpy())
+    if len(features) > max_features:
+        raise ValueError(f"{len(features)} features; their weights are kept on the driver up to {max_features}")
+    nodes = settle(content.select("node").unionByName(edges.select(F.col("src").alias("node"))).distinct(), "nodes")
+    strength = settle(nodes.join(degrees(edges), "node", "left").select("node", (1 + F.coalesce("strength", F.lit(0.0))).alias("d")), "strengths")
+    loops = edges.select("src", "dst", "weight").unionByName(nodes.select(F.col("node").alias("src"), F.col("node").alias("dst"), F.lit(1.0).alias("weight")))
+    p = loops.join(strength.select(F.col("node").alias("src"), F.col("d").alias("a")), "src").join(strength.select(F.col("node").alias("dst"), F.col("d").alias("b")), "dst")
+    p = settle(p.groupBy("src", "dst").agg((F.sum("weight") / F.sqrt(F.first("a") * F.first("b"))).alias("p")), "propagation")
+    numbers = spark.createDataFrame(pa.table({"feature": pa.array(features), "at": pa.array(np.arange(len(features)))}))
+    shares = content.join(content.groupBy("node").agg(F.greatest(F.sum("value"), F.lit(1e-12)).alias("all")), "node").join(numbers, "feature").select(F.col("node").alias("dst"), "at", (F.col("value") / F.col("all")).alias("x"))
+    px = p.join(shares, "dst").groupBy(F.col("src").alias("node"), "at").agg(F.sum(F.col("p") * F.col("x")).alias("x")).groupBy("node").agg(F.sort_array(F.collect_list(F.struct("at", "x"))).alias("l"))
+    rows = settle(nodes.join(px, "node", "left").select("node", F.coalesce(F.col("l.at"), F.array().cast("array<long>")).alias("at"), F.coalesce(F.col("l.x"), F.array().cast("array<double>")).alias("x")), "content")
+    train = settle(p.join(known.select(F.col("node").alias("src")), "src", "left_semi"), "train-edges")
+    near = settle(rows.join(train.select(F.col("dst").alias("node")).distinct(), "node", "left_semi"), "near")
+    n_train = known.join(nodes, "node", "left_semi").count()
+    r = np.random.default_rng(seed)
+    w = [r.uniform(-1, 1, s) * np.sqrt(6 / sum(s)) for s in ((len(features), hidden), (hidden, len(classes)))]
+
+    def sparse(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        at, x = (batch.column(i) for i in (1, 2))
+        owner = np.repeat(np.arange(batch.num_rows), [len(v) for v in at])
+        return owner, at.flatten().to_numpy(zero_copy_only=False), x.flatten().to_numpy(zero_copy_only=False)
+
+    def hidden_of(rows: DataFrame, w0: np.ndarray) -> DataFrame:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                owner, at, x = sparse(batch)
+                h = np.maximum(summed(owner, w0[at] * x[:, None], batch.num_rows), 0)
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(list(h), pa.list_(pa.float64()))], ["node", "h"])
+
+        return rows.mapInArrow(run, "node long, h array<double>")
+
+    def spread(p: DataFrame, vectors: DataFrame, source: str, target: str, dim: int) -> DataFrame:
+        """vectors(node, v) sent along p from source to target and summed there."""
+        d = p.join(vectors.withColumnRenamed("node", source), source).select(F.col(target).alias("node"), F.expr("transform(v, z -> z * p)").alias("v"))
+        return d.groupBy("node").agg(vec_sum("v", dim).alias("v"))
+
+    def grads(_) -> list[np.ndarray]:
+        w0, w1 = w[0].copy(), w[1].copy()
+        ph = spread(train, hidden_of(near, w0).withColumnRenamed("h", "v"), "dst", "src", hidden).join(known, "node")
+
+        def errors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            number, total = {c: i for i, c in enumerate(classes)}, np.zeros_like(w1)
+            for batch in batches:
+                v = np.array(batch.column(1).to_pylist(), float).reshape(-1, hidden)
+                out = _softmax(v @ w1)
+                out[np.arange(len(v)), [number[c] for c in batch.column(2).to_pylist()]] -= 1
+                out /= n_train
+                total += v.T @ out
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(list(out @ w1.T), pa.list_(pa.float64()))], ["node", "v"])
+            yield pa.RecordBatch.from_arrays([pa.array([None], pa.int64()), pa.array([total.ravel()], pa.list_(pa.float64()))], ["node", "v"])
+
+        sent = settle(ph.select("node", "v", "label").mapInArrow(errors, "node long, v array<double>"), "errors")
+        g1 = sent.filter("node IS NULL").agg(vec_sum("v", w1.size).alias("g")).first().g
+        back = spread(train, sent.filter("node IS NOT NULL"), "src", "dst", hidden)
+
+        def content_sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            total = np.zeros_like(w0)
+            for batch in batches:
+                owner, at, x = sparse(batch)
+                b = np.array(batch.column(3).to_pylist(), float).reshape(-1, hidden)
+                b = b * (summed(owner, w0[at] * x[:, None], batch.num_rows) > 0)
+                total += summed(at, b[owner] * x[:, None], len(w0))
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(w0))), pa.array(list(total), pa.list_(pa.float64()))], ["at", "g"])
+
+        parts = near.join(back, "node").select("node", "at", "x", "v").mapInArrow(content_sums, "at long, g array<double>")
+        found = {r.at: r.g for r in parts.groupBy("at").agg(vec_sum("g", hidden).alias("g")).collect()}
+        g0 = np.array([found.get(i, [0.0] * hidden) for i in range(len(w0))]).reshape(w0.shape)
+        return [g0 + decay * w0, np.array(g1 or [0.0] * w1.size).reshape(w1.shape)]
+
+    _adam(w, grads, epochs, rate)
+    w1 = w[1].copy()
+
+    def best(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            v = np.array(batch.column(1).to_pylist(), float).reshape(-1, hidden)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([classes[i] for i in (v @ w1).argmax(axis=1)], pa.string())], ["node", "predicted"])
+
+    return spread(p, hidden_of(rows, w[0].copy()).withColumnRenamed("h", "v"), "dst", "src", hidden).mapInArrow(best, "node long, predicted string")
+
+
 def fit_context_label_mlp(edges: DataFrame, content: DataFrame, labels: DataFrame, dim: int = 16, epochs: int = 200, rate: float = 0.02, seed: int = 7, max_nodes: int = 5000, samples: int = 4000) -> tuple[DataFrame, DataFrame]:
     """A hidden layer from content that predicts sampled contexts (neighbours and nodes of the same label, against random
     ones) and, with the content, the label. -> vectors, (node, predicted)."""

@@ -343,6 +343,7 @@ def oracle_sql() -> dict[str, str]:
         "fit_squared_margin": facts("squared_margin", 16, "nearer"),
         "fit_spectral_fusion": "SELECT 'spectral_fusion' AS method, count(*) AS nodes, CAST(8 AS BIGINT) AS dim, true AS finite, true AS nearer FROM part",
         "fit_graph_conv": "SELECT 'graph_conv' AS method, count(*) AS nodes, true AS better FROM part",
+        "fit_graph_conv_joins": "SELECT 'graph_conv_joins' AS method, count(*) AS nodes, true AS better FROM part",
         "fit_context_label": "SELECT 'context_label' AS method, count(*) AS nodes, true AS better FROM part",
         "fit_joint_history": "SELECT CAST(o AS INT) AS \"outer\", half, true AS falls, true AS looked FROM range(3) r(o), (VALUES ('nodes'), ('features')) h(half)",
         "embed_without_structure": "SELECT count(*) AS nodes, CAST(8 AS BIGINT) AS dim, true AS finite FROM part WHERE p_partkey % 5 = 0",

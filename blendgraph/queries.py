@@ -605,6 +605,12 @@ def fit_graph_conv(spark, sf_dir):
     return _better(spark, sf_dir, d, train, B.fit_graph_conv(d.edges, d.content, train, epochs=60), "graph_conv")
 
 
+def fit_graph_conv_joins(spark, sf_dir):
+    d = _data(spark, sf_dir)
+    train = settle(_quarter(d), "train")
+    return _better(spark, sf_dir, d, train, B.fit_graph_conv_joins(d.edges, d.content, train, epochs=16, rate=0.1), "graph_conv_joins")
+
+
 def fit_context_label(spark, sf_dir):
     d = _data(spark, sf_dir)
     train = settle(_quarter(d), "train")
@@ -695,7 +701,7 @@ ALL: tuple[Query, ...] = (
     accuracy_cube, session_walks_batch, tumbling_counts, next_events, band_join_parts, salted_join_orders, set_operations_graphs, top_links_attachment,
     plan_choices, fit_joint, fit_joint_exact, fit_joint_by_joins, fit_counts_only, fit_uncapped_loss, fit_squared_loss, fit_backtracking, fit_safe_step,
     fit_fixed_step, fit_joint_history, embed_without_structure, fit_skipgram, fit_biased_skipgram, fit_squared_content, fit_squared_homophily,
-    fit_squared_margin, fit_spectral_fusion, fit_graph_conv, fit_context_label, classify_unsupervised, classify_documents_lang, classify_documents_quality,
+    fit_squared_margin, fit_spectral_fusion, fit_graph_conv, fit_graph_conv_joins, fit_context_label, classify_unsupervised, classify_documents_lang, classify_documents_quality,
     classify_semi_supervised, sensitivity_grid, embedding_picture, predict_links, predict_links_documents, predict_links_copurchase, case_study,
     window_ablation, sparsity_effect, transfer, negative_control, user_recommendation, isolated_rescue, scale_stages,
 )

@@ -192,3 +192,16 @@ def test_folds_and_hashed_neighbors(spark):
     exact = {(x.node, x.neighbor) for x in E.top_k_neighbors(v, 3, asked).collect()}
     found = {(x.node, x.neighbor) for x in E.top_k_hashed(v, 3, asked).collect()}
     assert len(exact & found) >= 0.9 * len(exact) == 27
+
+
+def test_graph_convolution_by_joins_is_the_same(spark):
+    import numpy as np
+
+    r = np.random.default_rng(1)
+    pairs = sorted({tuple(sorted(map(int, r.choice(16, 2, replace=False)))) for _ in range(30)})
+    e = G.mirrored(spark.createDataFrame([(a, b, 1.0) for a, b in pairs], "src long, dst long, weight double"))
+    content = spark.createDataFrame([(i, int(f), 1.0) for i in range(18) for f in r.choice(7, 2, replace=False)], "node long, feature int, value double")
+    train = spark.createDataFrame([(i, "ab"[i % 2]) for i in range(8)], "node long, label string")
+    a = {x.node: x.predicted for x in B.fit_graph_conv(e, content, train, hidden=4, epochs=6, rate=0.1).collect()}
+    b = {x.node: x.predicted for x in B.fit_graph_conv_joins(e, content, train, hidden=4, epochs=6, rate=0.1).collect()}
+    assert a == b and len(b) == 18 and len(set(b.values())) == 2
