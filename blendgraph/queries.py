@@ -27,7 +27,7 @@ from .walks import sample_walks
 ORACLE_WALKS = WalkConfig(walk_length=6, per_node=1, window=3, seed=7)
 #: Short fits for checks and benchmarks; the experiments take longer ones.
 SMALL = FitConfig(dim=8, max_outer=3, max_inner=2, draws_per_node=32)
-LONG = FitConfig(dim=16, max_outer=12, max_inner=3, tol=1e-3, draws_per_node=32)
+LONG = FitConfig(dim=16, max_outer=8, max_inner=3, tol=1e-3, draws_per_node=32)
 WALKS = WalkConfig(walk_length=10, per_node=4)
 #: One round that SQL follows: exact negatives and the safe step.
 FOUR = FitConfig(dim=4, max_outer=1, max_inner=1, seed=7, negative_mode="exact", step="lipschitz")
