@@ -297,9 +297,9 @@ def remove_repeats(docs: DataFrame, length: int = 200, gram: int = GRAM, largest
     like any other, and ids may be of any type. Extra columns are ignored. Empty table: no rows. A long text is read in
     pieces of PIECE bytes.
     """
-    # joins want a key that is never null: the id with a mark for none, whatever its type
-    rows = docs.select(F.struct(F.col("doc_id").isNull().alias("none"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("id")).alias("sb_id"), "doc_id", "text")
-    rows = rows.select(F.to_json("sb_id").alias("sb_doc"), F.xxhash64("text").alias("sb_row"), "doc_id", "text")
+    # joins want a short key that is never null: a row is known by hashes of its id, whatever its type, and of its text
+    key = F.xxhash64(F.col("doc_id").isNull(), F.coalesce(F.col("doc_id").cast("string"), F.lit("")))
+    rows = docs.select(key.alias("sb_doc"), F.xxhash64("text").alias("sb_row"), "doc_id", "text")
     found = repeated_suffixes(rows, length, gram, largest).groupBy("sb_doc", "sb_row").agg(F.collect_list(F.struct("sb_start", "sb_count")).alias("sb_found"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
