@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+import math
 import re
 import uuid
 
@@ -10,8 +11,9 @@ import ahocorasick
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from .common import WORDS, per_batch, utf8
+from .common import WORDS, per_batch, utf8, written
 
 WORD = re.compile(rb"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 #: Most MB of item text that one automaton takes. More items make more automata, read one after another.
@@ -77,12 +79,17 @@ def _scanners(token: str, blocks: list[list[tuple]], width: int) -> list[Scanner
     return _BUILT[token]
 
 
+def _item_groups(items: DataFrame, max_item_mb: float) -> list[DataFrame]:
+    """The items in groups of about 64 automata: one group, unless there are more items than a worker should hold."""
+    known = items.filter("item_id IS NOT NULL").select("item_id", "text").distinct()
+    size = (known.selectExpr("sum(octet_length(text)) AS n").first().n or 0) / 1e6
+    n = max(1, math.ceil(size / (64 * max_item_mb)))
+    return [known] if n == 1 else [known.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == g) for g in range(n)]
+
+
 def _sent_items(items: DataFrame, width: int, max_item_mb: float):
-    """A function that returns the worker's automata. The items' size is checked before they are gathered."""
-    size = (items.selectExpr("sum(octet_length(text)) AS n").first().n or 0) / 1e6
-    if size > 64 * max_item_mb:
-        raise ValueError(f"{size:.0f} MB of items; this scan takes {64 * max_item_mb:.0f} MB")
-    rows = sorted(((r[0], (r[1] or "").encode()) for r in items.filter("item_id IS NOT NULL").select("item_id", "text").distinct().collect()), key=str)
+    """A function that returns the worker's automata of one group of items."""
+    rows = sorted(((r[0], (r[1] or "").encode()) for r in items.collect()), key=str)
     blocks: list[list[tuple]] = [[]]
     room = max_item_mb * 1e6
     for row in rows:
@@ -94,27 +101,54 @@ def _sent_items(items: DataFrame, width: int, max_item_mb: float):
     return lambda: _scanners(token, sent.value, width)
 
 
+def _all_hits(docs: DataFrame, groups: list[DataFrame], width: int, max_item_mb: float) -> DataFrame:
+    """docs(doc_id, text) with hits: spans of words and item ids of all groups. Each group is one pass over the texts; its
+    hits are joined by hashes of a row's id and text, so the texts move once, at the end."""
+    keyed = docs.select("doc_id", "text", F.xxhash64(F.col("doc_id").isNull(), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))).alias("dc_doc"), F.xxhash64("text").alias("dc_row"))
+    found = None
+    for group in groups:
+        scanners = _sent_items(group, width, max_item_mb)
+
+        def run(batch: pa.RecordBatch, scanners=scanners) -> pa.RecordBatch:
+            hits = [[h for s in scanners() for h in s.hits(normal_words(t or b""))] for t in utf8(batch.column(2))]
+            keep = [i for i, h in enumerate(hits) if h]
+            spans = pa.array([[list(x) for x in merged([h[:2] for h in hits[i]])] for i in keep], pa.list_(pa.list_(pa.int64())))
+            ids = pa.array([sorted({x for h in hits[i] for x in h[2]}) for i in keep], pa.list_(pa.string()))
+            at = pa.array(keep, pa.int64())
+            return pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at), spans, ids], ["dc_doc", "dc_row", "spans", "ids"])
+
+        part = written(keyed.select("dc_doc", "dc_row", "text").mapInArrow(per_batch(run), "dc_doc long, dc_row long, spans array<array<long>>, ids array<string>"), "hits")
+        found = part if found is None else found.unionByName(part)
+    each = found.groupBy("dc_doc", "dc_row").agg(F.flatten(F.collect_list("spans")).alias("spans"), F.array_distinct(F.flatten(F.collect_list("ids"))).alias("ids"))
+    return keyed.join(each, ["dc_doc", "dc_row"], "left").select("doc_id", "text", "spans", "ids")
+
+
 def find_contamination(docs: DataFrame, items: DataFrame, width: int = 10, max_item_mb: float = MAX_ITEM_MB) -> DataFrame:
     """doc_id, n_words, n_hit, n_items, items_sha256, contaminated and the hit spans of the original text in characters.
 
     A window is width consecutive words of an item, or all words of a shorter one. The documents are read once and
-    not shuffled. Test sets are small by nature: the items go to the executors, in automata of max_item_mb at most,
-    and a set over 64 of those is refused. Matches' offsets lead back to the text by the words they cover.
+    not shuffled. Test sets are small by nature: the items go to the executors, in automata of max_item_mb at most. Of
+    more than 64 of those, each 64 are a pass of their own, and the hits are put together. Matches' offsets lead back to
+    the text by the words they cover.
 
     Null or empty text: no words, not contaminated. Null or empty item: no window. Repeated items: one of them. An item
     without an id is none, as it could not be named. Empty tables: no rows, or no hits. Extra columns are ignored; repeated
     documents are judged each. A long text is held once with its words.
     """
-    scanners = _sent_items(items, width, max_item_mb)
+    groups = _item_groups(items, max_item_mb)
+    several = len(groups) > 1
+    scanners = None if several else _sent_items(groups[0], width, max_item_mb)
     none = hashlib.sha256(b"").hexdigest()
 
-    def scan(text: bytes) -> tuple:
+    def scan(text: bytes, spans: list | None, ids: list | None) -> tuple:
         normal = normal_words(text)
         n_words = max(0, normal.count(b" ") - 1)
-        hits = [h for s in scanners() for h in s.hits(normal)]
-        if not hits:
+        if scanners is not None:
+            hits = [h for s in scanners() for h in s.hits(normal)]
+            spans, ids = [h[:2] for h in hits], {i for h in hits for i in h[2]}
+        if not spans:
             return n_words, 0, 0, none, False, []
-        spans, ids = merged([h[:2] for h in hits]), sorted({i for h in hits for i in h[2]})
+        spans, ids = merged([tuple(x) for x in spans]), sorted(ids)
         places = np.array([m.span() for m in WORD.finditer(text.translate(WORDS))])
         first = np.cumsum(np.frombuffer(text, np.uint8) & 0xC0 != 0x80)  # characters up to each byte
         chars = [[int(first[places[a, 0]]) - 1, int(first[places[b - 1, 1] - 1])] for a, b in spans]
@@ -124,21 +158,28 @@ def find_contamination(docs: DataFrame, items: DataFrame, width: int = 10, max_i
     names = ["n_words", "n_hit", "n_items", "items_sha256", "contaminated", "hit_spans"]
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        rows = [scan(t or b"") for t in utf8(batch.column(1))]
+        texts = utf8(batch.column(1))
+        known = zip(batch.column(2).to_pylist(), batch.column(3).to_pylist()) if several else ((None, None) for _ in texts)
+        rows = [scan(t or b"", *k) for t, k in zip(texts, known)]
         cols = zip(*rows) if rows else [[]] * len(names)
         return pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(cols, kinds))], ["doc_id", *names])
 
-    d = docs.select("doc_id", "text")
+    d = _all_hits(docs, groups, width, max_item_mb) if several else docs.select("doc_id", "text")
     return d.mapInArrow(per_batch(run), f"doc_id {d.schema['doc_id'].dataType.simpleString()}, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, hit_spans array<array<long>>")
 
 
 def drop_contaminated(docs: DataFrame, items: DataFrame, width: int = 10, max_item_mb: float = MAX_ITEM_MB) -> DataFrame:
     """docs, all columns, without the contaminated ones, judged as by find_contamination. No shuffle: the text is judged
     where it is read. Null and empty texts stay, whatever their other columns hold; an empty table gives an empty one."""
-    scanners, at = _sent_items(items, width, max_item_mb), docs.columns.index("text")
-
-    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        normal = map(normal_words, (t or b"" for t in utf8(batch.column(at))))
-        return batch.filter(pa.array([not any(s.hits(n) for s in scanners()) for n in normal], pa.bool_()))
-
-    return docs.mapInArrow(per_batch(run), docs.schema)
+    at, groups = docs.columns.index("text"), _item_groups(items, max_item_mb)
+    for number, group in enumerate(groups):
+        scanners = _sent_items(group, width, max_item_mb)
+
+        def run(batch: pa.RecordBatch, scanners=scanners) -> pa.RecordBatch:
+            normal = map(normal_words, (t or b"" for t in utf8(batch.column(at))))
+            return batch.filter(pa.array([not any(s.hits(n) for s in scanners()) for n in normal], pa.bool_()))
+
+        docs = docs.mapInArrow(per_batch(run), docs.schema)
+        # a worker holds the automata of one group at a time
+        docs = written(docs, "clean") if number < len(groups) - 1 else docs
+    return docs

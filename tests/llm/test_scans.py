@@ -9,7 +9,6 @@ from collections import Counter
 
 import duckdb
 import pandas as pd
-import pytest
 
 from blendgraph.llm import decontamination, licenses, line_quality, mixing, sql, url_trust
 
@@ -71,8 +70,18 @@ def test_decontamination_limits_and_empty(spark):
     none = spark.createDataFrame([], "item_id long, text string")
     assert [r.contaminated for r in decontamination.find_contamination(docs, none).collect()] == [False]
     assert decontamination.find_contamination(docs.limit(0), none).collect() == []
-    with pytest.raises(ValueError):
-        decontamination.find_contamination(docs, spark.createDataFrame([(1, "x" * 9000)], "item_id long, text string"), max_item_mb=0.0001)
+
+
+def test_more_items_than_a_worker_holds(spark):
+    """Groups of items, each a pass of its own, give what one pass gives."""
+    items, texts = corpus(60, 5)
+    bench = spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    docs = spark.createDataFrame([(None if i == 3 else i // 2, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    cols = ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated", "hit_spans"]
+    one, many = (rows(decontamination.find_contamination(docs, bench, max_item_mb=mb), *cols) for mb in (16, 2e-6))
+    assert one == many and len(decontamination._item_groups(bench, 2e-6)) > 2
+    kept = [rows(decontamination.drop_contaminated(docs, bench, max_item_mb=mb), "doc_id", "text") for mb in (16, 2e-6)]
+    assert kept[0] == kept[1] and 0 < len(kept[0]) < len(texts)
 
 
 def test_base_counts_against_plain():
