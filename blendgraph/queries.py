@@ -165,7 +165,7 @@ def rooted_pagerank_roots(spark, sf_dir):
 
 def proximity_gap(spark, sf_dir):
     """Of the whole graph, without a power of its transition."""
-    d = P.proximity_gap(G.transition(_edges(spark, sf_dir)), 10, 0.5, 1e-4, 15, 1e-3)
+    d = P.proximity_gap(G.transition(_edges(spark, sf_dir)), 10, 0.5, 1e-4, 8, 1e-3)
     return d.withColumns({"gap": F.round("gap", 2), "sigma_max": F.round("sigma_max", 2), "bound": F.round("bound", 9), "pre_bound": F.round("pre_bound", 9)})
 
 
