@@ -297,8 +297,10 @@ def remove_repeats(docs: DataFrame, length: int = 200, gram: int = GRAM, largest
     like any other, and ids may be of any type. Extra columns are ignored. Empty table: no rows. A long text is read in
     pieces of PIECE bytes.
     """
-    # joins want a short key that is never null: a row is known by hashes of its id, whatever its type, and of its text
-    key = F.xxhash64(F.col("doc_id").isNull(), F.coalesce(F.col("doc_id").cast("string"), F.lit("")))
+    # joins want a short key that is never null: a row is known by its id (of a type other than a whole number, by its
+    # hash) and a hash of its text. Rows of equal keys have equal texts, so one's result is the other's.
+    whole = docs.schema["doc_id"].dataType.typeName() in ("byte", "short", "integer", "long")
+    key = F.coalesce(F.col("doc_id").cast("long"), F.lit(0)) if whole else F.xxhash64(F.coalesce(F.col("doc_id").cast("string"), F.lit("")))
     rows = docs.select(key.alias("sb_doc"), F.xxhash64("text").alias("sb_row"), "doc_id", "text")
     found = repeated_suffixes(rows, length, gram, largest).groupBy("sb_doc", "sb_row").agg(F.collect_list(F.struct("sb_start", "sb_count")).alias("sb_found"))
 
