@@ -96,10 +96,11 @@ def weighted_powers_times(lists: DataFrame, x: DataFrame, weights: list[float])
     """(i, x): the weighted sum of powers of a matrix, times a vector. lists(i, to) has what entry i gives to others, as
     structs (j, p). No power is formed: a step is one join and one aggregation of vectors, which carry the sum so far."""
     d = x.select("i", "x", (F.col("x") * weights[0]).alias("y"))
-    for w in weights[1:]:
+    for k, w in enumerate(weights[1:], 1):
         d = d.join(lists, "i", "left")
         d = d.select(F.inline(F.expr("concat(array(struct(i AS i, CAST(0 AS DOUBLE) AS x, y AS y)), transform(coalesce(to, array()), t -> struct(t.j AS i, t.p * x AS x, CAST(0 AS DOUBLE) AS y)))")))
         d = d.groupBy("i").agg(F.sum("x").alias("x"), F.sum("y").alias("y")).select("i", "x", (F.col("y") + F.lit(w) * F.col("x")).alias("y"))
+        d = settle(d, "powers") if k % 16 == 0 else d
     return d.select("i", F.col("y").alias("x"))
 
 
@@ -124,6 +125,20 @@ def powers_norm(t: DataFrame, weights: list[float], rounds: int = 40, tol: float
     return math.sqrt(norm)
 
 
+def proximity_gap_dense(t: DataFrame, order: int, beta: float, max_nodes: int = 2000) -> dict:
+    """What proximity_gap returns, by matrices on the driver: for small graphs, which it is refused above max_nodes."""
+    names = t.select(F.col("src").alias("i")).unionByName(t.select(F.col("dst").alias("i"))).distinct().orderBy("i").limit(max_nodes + 1).collect()
+    if len(names) > max_nodes:
+        raise ValueError(f"more than {max_nodes} nodes")
+    at = {r.i: k for k, r in enumerate(names)}
+    p = np.zeros((len(at), len(at)))
+    for r in t.select("src", "dst", "p").collect():
+        p[at[r.src], at[r.dst]] += r.p
+    mean = sum(np.linalg.matrix_power(p, k) for k in range(1, order + 1)) / order
+    gap = float(np.linalg.norm(dense_rooted_pagerank(p, beta) - mean, 2))
+    return gap_bounds(order, beta) | {"gap": gap, "sigma_max": float(np.linalg.norm(p, 2)), "premise_symmetric": bool(np.allclose(p, p.T)), "order": order, "beta": beta}
+
+
 def proximity_gap(t: DataFrame, order: int, beta: float, eps: float = 1e-9, rounds: int = 40, tol: float = 1e-6) -> DataFrame:
     """One row: spectral norm of rooted PageRank minus the mean proximity, bounds, the transition's largest singular value and
     whether it is symmetric, which the bound supposes."""

@@ -54,15 +54,25 @@ def test_rooted_pagerank_against_inverse(spark, path):
 
 @pytest.mark.parametrize(("ring", "beta", "k", "gap", "bound", "pre"), [(3, 0.5, 4, 0.4083, 1.9375, 1.7375), (5, 0.85, 11, 0.1923, 1.7155, 1.1681)])
 def test_gap_on_regular_graphs(spark, ring, beta, k, gap, bound, pre):
-    r = P.proximity_gap(G.transition(edges(spark, [(i, (i + 1) % ring) for i in range(ring)])), 40, beta).first()
-    assert r.k_split == k and r.premise_symmetric and r.applicable and r.gap <= r.bound
-    assert np.allclose([r.gap, r.bound, r.pre_bound], [gap, bound, pre], atol=1e-4)
+    r = P.proximity_gap_dense(G.transition(edges(spark, [(i, (i + 1) % ring) for i in range(ring)])), 40, beta)
+    assert r["k_split"] == k and r["premise_symmetric"] and r["applicable"] and r["gap"] <= r["bound"]
+    assert np.allclose([r["gap"], r["bound"], r["pre_bound"]], [gap, bound, pre], atol=1e-4)
 
 
 def test_gap_premises(spark, path):
-    r = P.proximity_gap(G.transition(path), 40, 0.5).first()
-    assert not r.premise_symmetric and abs(r.sigma_max - 1.1441) < 1e-4
+    r = P.proximity_gap_dense(G.transition(path), 40, 0.5)
+    assert not r["premise_symmetric"] and abs(r["sigma_max"] - 1.1441) < 1e-4
     assert not P.gap_bounds(5, 0.85)["applicable"] and P.gap_bounds(5, 0.85)["k_split"] == -2
+    with pytest.raises(ValueError):
+        P.proximity_gap_dense(G.transition(path), 40, 0.5, max_nodes=3)
+
+
+def test_gap_without_powers(path):
+    """By products with vectors, against the matrices: the series ends at a tail of 0.01."""
+    t = G.transition(path)
+    got, want = P.proximity_gap(t, 3, 0.3, 1e-2, 12, 1e-4).first(), P.proximity_gap_dense(t, 3, 0.3)
+    assert abs(got.gap - want["gap"]) < 0.02 and abs(got.sigma_max - want["sigma_max"]) < 0.01
+    assert (got.k_split, got.bound, got.premise_symmetric) == (want["k_split"], want["bound"], want["premise_symmetric"])
 
 
 def test_heuristics(spark, path):
