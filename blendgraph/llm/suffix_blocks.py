@@ -257,6 +257,12 @@ def _window_hashes(length: int):
     return run
 
 
+def met_with(rows: DataFrame, other: DataFrame, how: str) -> DataFrame:
+    """rows with what other has of the same sb_doc, null or not, and sb_row."""
+    o = other.withColumnsRenamed({"sb_doc": "sb_doc2", "sb_row": "sb_row2"})
+    return rows.join(o, F.col("sb_doc").eqNullSafe(F.col("sb_doc2")) & (F.col("sb_row") == F.col("sb_row2")), how).drop("sb_doc2", "sb_row2")
+
+
 def repeated_suffixes(rows: DataFrame, length: int = 200, gram: int = GRAM, largest: int = LARGEST) -> DataFrame:
     """rows(sb_doc, sb_row, text) -> sb_doc, sb_row, sb_start, sb_count: the suffixes that repeat to length bytes.
 
@@ -276,7 +282,7 @@ def repeated_suffixes(rows: DataFrame, length: int = 200, gram: int = GRAM, larg
     mixed = written(classes.groupBy("sb_anchor").agg(F.count("*").alias("sb_classes"), F.min("sb_n").alias("sb_least")).filter("sb_classes > 1 AND sb_least = 1"), "mixed-anchors")
     one = classes.join(mixed.select("sb_anchor", "sb_classes"), "sb_anchor").select("sb_one.*", "sb_anchor", "sb_classes")
     wanted = one.groupBy("sb_doc", "sb_row").agg(F.collect_list(F.struct("sb_start", "sb_count", "sb_anchor", "sb_classes")).alias("sb_runs"))
-    texts = rows.join(wanted, ["sb_doc", "sb_row"])
+    texts = met_with(rows, wanted, "inner")
     texts = texts.select("sb_doc", "sb_row", F.col("text").cast("binary").alias("b"), F.explode("sb_runs").alias("r"))
     texts = texts.select("sb_doc", "sb_row", "r.sb_start", "r.sb_count", "r.sb_anchor", F.expr(f"substring(b, CAST(r.sb_start AS INT) + 1, r.sb_count + {length - 1})").alias("sb_text"), "r.sb_classes")
     columns = texts.columns[:6]
@@ -297,11 +303,8 @@ def remove_repeats(docs: DataFrame, length: int = 200, gram: int = GRAM, largest
     like any other, and ids may be of any type. Extra columns are ignored. Empty table: no rows. A long text is read in
     pieces of PIECE bytes.
     """
-    # joins want a short key that is never null: a row is known by its id (of a type other than a whole number, by its
-    # hash) and a hash of its text. Rows of equal keys have equal texts, so one's result is the other's.
-    whole = docs.schema["doc_id"].dataType.typeName() in ("byte", "short", "integer", "long")
-    key = F.coalesce(F.col("doc_id").cast("long"), F.lit(0)) if whole else F.xxhash64(F.coalesce(F.col("doc_id").cast("string"), F.lit("")))
-    rows = docs.select(key.alias("sb_doc"), F.xxhash64("text").alias("sb_row"), "doc_id", "text")
+    # a row is known by its id, of any type and null too, and a hash of its text; equal rows have equal results
+    rows = docs.select(F.col("doc_id").alias("sb_doc"), F.xxhash64("text").alias("sb_row"), "text")
     found = repeated_suffixes(rows, length, gram, largest).groupBy("sb_doc", "sb_row").agg(F.collect_list(F.struct("sb_start", "sb_count")).alias("sb_found"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -323,6 +326,7 @@ def remove_repeats(docs: DataFrame, length: int = 200, gram: int = GRAM, largest
             kinds = [pa.int64()] * 3 + [pa.string(), pa.binary()]
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(cols, kinds))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
 
-    joined = rows.join(found, ["sb_doc", "sb_row"], "left").select("doc_id", "text", "sb_found")
+    # the texts are dealt out as in repeated_suffixes, so that they are once for both joins
+    joined = met_with(rows, found, "left").select(F.col("sb_doc").alias("doc_id"), "text", "sb_found")
     id_type = docs.schema["doc_id"].dataType.simpleString()
     return joined.mapInArrow(run, f"doc_id {id_type}, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
