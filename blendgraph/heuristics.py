@@ -20,9 +20,10 @@ def _scored(pairs: DataFrame, scores: DataFrame) -> DataFrame:
     return pairs.join(scores, ["src", "dst"], "left").fillna(0.0, ["score"])
 
 
-def _degrees(edges: DataFrame, pairs: DataFrame) -> DataFrame:
-    d = degrees(edges).select("node", "degree")
-    out = pairs.join(d.select(F.col("node").alias("src"), F.col("degree").alias("d1")), "src", "left").join(d.select(F.col("node").alias("dst"), F.col("degree").alias("d2")), "dst", "left")
+def _degrees(edges: DataFrame, pairs: DataFrame, isolated: bool) -> DataFrame:
+    """pairs with the degrees of both ends; isolated: whether pairs of which an end has no edge stay, with 0."""
+    d, how = degrees(edges).select("node", "degree"), "left" if isolated else "inner"
+    out = pairs.join(d.select(F.col("node").alias("src"), F.col("degree").alias("d1")), "src", how).join(d.select(F.col("node").alias("dst"), F.col("degree").alias("d2")), "dst", how)
     return out.fillna(0, ["d1", "d2"])
 
 
@@ -30,9 +31,9 @@ def common_neighbors(edges: DataFrame, pairs: DataFrame) -> DataFrame:
     return _scored(pairs, _shared(edges, pairs).groupBy("src", "dst").agg(F.count("*").cast("double").alias("score")))
 
 
-def jaccard(edges: DataFrame, pairs: DataFrame) -> DataFrame:
+def jaccard(edges: DataFrame, pairs: DataFrame, isolated: bool = True) -> DataFrame:
     """0 if neither has a neighbour."""
-    d = _degrees(edges, common_neighbors(edges, pairs).withColumnRenamed("score", "c"))
+    d = _degrees(edges, common_neighbors(edges, pairs).withColumnRenamed("score", "c"), isolated)
     union = F.col("d1") + F.col("d2") - F.col("c")
     return d.withColumn("score", F.when(union > 0, F.col("c") / union).otherwise(0.0)).select(*pairs.columns, "score")
 
@@ -43,8 +44,8 @@ def adamic_adar(edges: DataFrame, pairs: DataFrame) -> DataFrame:
     return _scored(pairs, _shared(edges, pairs).join(d, "mid").groupBy("src", "dst").agg(F.sum("w").alias("score")))
 
 
-def preferential_attachment(edges: DataFrame, pairs: DataFrame) -> DataFrame:
-    d = _degrees(edges, pairs)
+def preferential_attachment(edges: DataFrame, pairs: DataFrame, isolated: bool = True) -> DataFrame:
+    d = _degrees(edges, pairs, isolated)
     return d.withColumn("score", (F.col("d1") * F.col("d2")).cast("double")).select(*pairs.columns, "score")
 
 
