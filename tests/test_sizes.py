@@ -24,7 +24,7 @@ def by_sql(folder, name):
     return con.sql("SELECT * FROM found").limit(10**6).fetchall()
 
 
-@pytest.mark.parametrize("name", ["link_attachment"])
+@pytest.mark.parametrize("name", ["link_attachment", "link_jaccard"])
 def test_pairs_with_an_isolated_part(spark, tmp_path, name):
     # 1000 and 1121 are a pair beyond the reach, and neither has an edge
     folder = parts(spark, tmp_path, [*range(60), 1000, 1121])
