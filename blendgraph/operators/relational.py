@@ -28,10 +28,11 @@ def next_event(events: DataFrame, within_seconds: int = 1800) -> DataFrame:
 
 
 def salted_join(large: DataFrame, small: DataFrame, key: str, salts: int = 16) -> DataFrame:
-    """An inner join whose hot keys go to salts tasks each: large rows get a salt by hash, small rows every salt."""
+    """An inner join whose hot keys go to salts tasks each: large rows get a salt by hash, small rows every salt. The small
+    side is never sent out: its size is estimated without the salts."""
     l = large.withColumn("_salt", F.pmod(F.xxhash64(*large.columns), F.lit(salts)).cast("int"))
     s = small.withColumn("_salt", F.explode(F.expr(f"sequence(0, {salts - 1})")))
-    return l.join(s, [key, "_salt"]).drop("_salt")
+    return l.join(s.hint("merge"), [key, "_salt"]).drop("_salt")
 
 
 def co_bucketed_join(left: DataFrame, right: DataFrame, key: str, name: str, buckets: int = 8) -> DataFrame:

@@ -31,3 +31,13 @@ def test_pairs_with_an_isolated_part(spark, tmp_path, name):
     assert any(r.src == 1000 for r in Q._pairs(spark, folder).collect())
     got = sorted(tuple(r) for r in getattr(Q, name)(spark, folder).select("src", "dst", "is_edge", "score").collect())
     assert got == sorted(by_sql(folder, name)) and got
+
+
+def plan(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_a_salted_join_sends_no_side_out(spark):
+    large, small = spark.range(100).select((F.col("id") % 7).alias("k"), "id"), spark.range(7).select(F.col("id").alias("k"), F.lit("x").alias("y"))
+    found = Q.O.salted_join(large, small, "k")
+    assert "Broadcast" not in plan(found) and found.count() == 100
