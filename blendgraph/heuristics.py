@@ -50,10 +50,12 @@ def preferential_attachment(edges: DataFrame, pairs: DataFrame, isolated: bool =
 
 
 def content_cosine(content: DataFrame, pairs: DataFrame) -> DataFrame:
-    """Cosine of the raw content: what content alone says about a pair."""
+    """Cosine of the raw content: what content alone says about a pair. No side is sent out: content that is made by exploding
+    rows is estimated as if it had a row a node."""
     lengths = content.groupBy("node").agg(F.sqrt(F.sum(F.col("value") * F.col("value"))).alias("l"))
-    a = content.join(lengths, "node").select(F.col("node").alias("src"), "feature", (F.col("value") / F.col("l")).alias("x"))
-    b = content.join(lengths, "node").select(F.col("node").alias("dst"), "feature", (F.col("value") / F.col("l")).alias("y"))
+    scaled = content.join(lengths.hint("merge"), "node").select("node", "feature", (F.col("value") / F.col("l")).alias("x"))
+    a = scaled.withColumnRenamed("node", "src").hint("merge")
+    b = scaled.select(F.col("node").alias("dst"), "feature", F.col("x").alias("y")).hint("merge")
     dots = pairs.select("src", "dst").distinct().join(a, "src").join(b, ["dst", "feature"]).groupBy("src", "dst").agg(F.sum(F.col("x") * F.col("y")).alias("score"))
     return _scored(pairs, dots)
 

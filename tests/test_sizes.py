@@ -41,3 +41,13 @@ def test_a_salted_join_sends_no_side_out(spark):
     large, small = spark.range(100).select((F.col("id") % 7).alias("k"), "id"), spark.range(7).select(F.col("id").alias("k"), F.lit("x").alias("y"))
     found = Q.O.salted_join(large, small, "k")
     assert "Broadcast" not in plan(found) and found.count() == 100
+
+
+def test_content_scores_send_no_content_out(spark, tmp_path):
+    folder = parts(spark, tmp_path, range(130))
+    content, pairs = spark.range(9).select(F.col("id").alias("node"), (F.col("id") % 2).alias("feature"), F.lit(2.0).alias("value")), spark.createDataFrame([(0, 2, 1), (0, 1, 0)], "src long, dst long, is_edge int")
+    found = Q.H.content_cosine(content, pairs)
+    assert sorted((r.dst, round(r.score, 9)) for r in found.collect()) == [(1, 0.0), (2, 1.0)]
+    # the pairs' own join may send scores out: they are as many as the pairs
+    assert plan(found).count("BroadcastExchange") <= 1
+    assert sorted(tuple(r) for r in Q.link_content(spark, folder).select("src", "dst", "is_edge", "score").collect()) == sorted(by_sql(folder, "link_content"))
