@@ -61,7 +61,7 @@ def test_planted_source_is_of_the_given_parts(spark, tmp_path):
     assert not any(a % 7 == 0 or b % 7 == 0 for a, b, _ in got)
 
 
-@pytest.mark.parametrize("name", ["loss_init_d4", "grad_nodes_d4"])
+@pytest.mark.parametrize("name", ["loss_init_d4", "grad_nodes_d4", "one_node_step_d4"])
 def test_exact_negatives_summed_as_a_function(spark, tmp_path, monkeypatch, name):
     folder = parts(spark, tmp_path, range(200))
     met = []
