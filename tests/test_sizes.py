@@ -6,6 +6,7 @@ import duckdb
 import pytest
 from pyspark.sql import functions as F
 
+from blendgraph import baselines as B
 from blendgraph import oracles
 from blendgraph import queries as Q
 
@@ -72,3 +73,14 @@ def test_exact_negatives_summed_as_a_function(spark, tmp_path, monkeypatch, name
     assert met and [r[:-1] for r in got] == [r[:-1] for r in want] and got
     assert max(abs(a[-1] - b[-1]) for a, b in zip(got, want)) < 1.1e-5
     assert sum(a[-1] != b[-1] for a, b in zip(got, want)) < 3
+
+
+def test_context_label_of_more_nodes_than_a_matrix_of_pairs_holds(spark):
+    # a path of 6000 nodes, whose content tells the class
+    n = 6000
+    e = spark.range(n - 1).select("id", (F.col("id") + 1).alias("o")).select(F.explode(F.expr("array(struct(id AS src, o AS dst), struct(o AS src, id AS dst))")).alias("e")).select("e.*", F.lit(1.0).alias("weight"))
+    content = spark.range(n).select(F.col("id").alias("node"), (F.col("id") % 3).alias("feature"), F.lit(2.0).alias("value"))
+    train = spark.range(30).select(F.col("id").alias("node"), F.concat(F.lit("c"), F.col("id") % 3).alias("label"))
+    vectors, found = B.fit_context_label_mlp(e, content, train, 4, epochs=20)
+    assert vectors.count() == n and found.count() == n
+    assert found.filter("predicted <> concat('c', node % 3)").isEmpty()
