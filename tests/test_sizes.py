@@ -84,3 +84,55 @@ def test_context_label_of_more_nodes_than_a_matrix_of_pairs_holds(spark):
     vectors, found = B.fit_context_label_mlp(e, content, train, 4, epochs=20)
     assert vectors.count() == n and found.count() == n
     assert found.filter("predicted <> concat('c', node % 3)").isEmpty()
+
+
+@pytest.fixture(scope="module")
+def ring(spark):
+    """Counts of a ring, and content of 30 features, 6 a node."""
+    n = 300
+    cooc = spark.range(n).select(F.col("id").alias("node"), F.explode(F.sequence(F.lit(1), F.lit(9))).alias("k")).select("node", F.expr(f"(node + k) % {n}").alias("context"), F.col("k").alias("cnt"))
+    content = spark.range(n).select(F.col("id").alias("node"), F.explode(F.sequence(F.lit(0), F.lit(5))).alias("k")).select("node", F.expr("(node + 5 * k) % 30").alias("feature"), (1.0 + F.col("k")).alias("value"))
+    return Q.settle(cooc.unionByName(cooc.select(F.col("context").alias("node"), F.col("node").alias("context"), "cnt")), "ring"), content
+
+
+#: MB that the ring's contexts took with whole numbers of 8 bytes, less a little.
+RING_MB = (24 * 300 + 24 * 1800 + 8 * 300 * 4) / 1e6 - 1e-4
+
+
+@pytest.mark.parametrize("step", ["fixed", "search", "backtracking", "lipschitz"])
+def test_contexts_are_held_in_narrow_numbers(ring, step):
+    cooc, content = ring
+    cfg = Q.FitConfig(dim=4, max_outer=1, max_inner=1, draws_per_node=4, step=step)
+    small, whole = Q.M.fit_joint(cooc, content, cfg, RING_MB), Q.M.fit_joint(cooc, content, cfg)
+    # by joins, backtracking is refused and the history would be that of the safe step
+    assert Q.M.gather_contexts(cooc, content, 4, RING_MB).feature.itemsize == 1
+    losses = [[h[k] for h in r.history for k in ("before", "after")] for r in (small, whole)]
+    assert losses[0] == pytest.approx(losses[1]) and small.node_vec.count() == 300
+
+
+def test_a_pass_deals_no_counts_out(spark, ring):
+    cooc, content = ring
+    cfg = Q.FitConfig(dim=4, draws_per_node=4)
+    model = Q.M.JointModel(cooc, content, cfg, Q.M.gather_contexts(cooc, content, 4))
+    vectors, s = Q.M.initial(cooc, model.ctx, cfg)
+    keep = lambda p, node, w, h, state: (node, w)
+    found = model._blocks(vectors, s, 0, keep, None, "node long, w array<double>", ["node", "w"])
+    assert "Exchange" not in plan(found)
+    assert sorted(map(tuple, found.collect())) == sorted(map(tuple, vectors.collect()))
+    # nor does it where the vectors are joined change what it is
+    model.nodes = 10**9
+    joined = model._blocks(vectors, s, 0, keep, None, "node long, w array<double>", ["node", "w"])
+    assert sorted(map(tuple, joined.collect())) == sorted(map(tuple, vectors.collect()))
+
+
+def test_pairs_are_dealt_out_once(spark):
+    walks = spark.createDataFrame([(0, [1, 2, 1, 3]), (1, [3, 3, 2, 1])], "walk_id long, path array<long>")
+    found = Q.C.count_pairs(walks, Q.WalkConfig(walk_length=4, window=2))
+    forward = {}
+    for path in ([1, 2, 1, 3], [3, 3, 2, 1]):
+        for i in range(4):
+            for j in range(i + 1, min(i + 3, 4)):
+                for key in ((path[i], path[j]), (path[j], path[i])):
+                    forward[key] = forward.get(key, 0) + 1
+    assert {(r.node, r.context): r.cnt for r in found.collect()} == forward
+    assert found._jdf.queryExecution().sparkPlan().toString().count("HashAggregate") <= 2
