@@ -152,3 +152,16 @@ def test_squared_loss_makes_no_two_hop_pairs(spark, tmp_path, monkeypatch, extra
     found = {r.node: r.w for r in B.fit_squared_content(edges, content, 3, rounds=2, labels=labels, **extra).collect()}
     assert found.keys() == joined.keys() and len(found) > 100
     assert max(abs(a - b) for k in found for a, b in zip(found[k], joined[k])) < 1e-7
+
+
+def test_hashed_search_writes_no_candidate_pairs(spark):
+    from pyspark.sql import functions as F
+
+    v = spark.range(300).select(F.col("id").alias("node"), F.array(*[F.sin(F.col("id") * (i + 1) * 0.7) for i in range(6)]).alias("w"))
+    asked = v.filter("node % 20 = 0").select("node")
+    once = Q.E.top_k_hashed(v, 4, asked)
+    blocks = Q.E.top_k_hashed(v, 4, asked, query_mb=0.002)
+    rows = lambda d: sorted((r.node, r.rank, r.neighbor, round(r.score, 9)) for r in d.collect())
+    assert "Join" not in plan(once) and rows(once) == rows(blocks)
+    exact = {(r.node, r.neighbor) for r in Q.E.top_k_neighbors(v, 4, asked).collect()}
+    assert len(exact & {(r[0], r[2]) for r in rows(once)}) >= 0.9 * len(exact) and len(exact) == 60
