@@ -165,3 +165,15 @@ def test_hashed_search_writes_no_candidate_pairs(spark):
     assert "Join" not in plan(once) and rows(once) == rows(blocks)
     exact = {(r.node, r.neighbor) for r in Q.E.top_k_neighbors(v, 4, asked).collect()}
     assert len(exact & {(r[0], r[2]) for r in rows(once)}) >= 0.9 * len(exact) and len(exact) == 60
+
+
+def test_rooted_pagerank_writes_no_power(spark, tmp_path):
+    folder = parts(spark, tmp_path, [k for k in range(400) if k % 9] + [5000])
+    t, roots = Q.G.transition(Q._edges(spark, folder)), Q._queried(spark, folder)
+    joined = {(r.src, r.dst): r.value for r in Q.P.rooted_pagerank(t, 0.5, 1e-3, roots, links_mb=0.0).collect()}
+    d = Q.P.rooted_pagerank(t, 0.5, 1e-3, roots)
+    found = {(r.src, r.dst): r.value for r in d.collect()}
+    assert "Join" not in plan(d).split("MapInArrow")[0] and "MapInArrow" in plan(d)
+    assert found.keys() == joined.keys() and (5000, 5000) in found
+    assert max(abs(found[k] - joined[k]) for k in found) < 1e-12
+    assert sorted(tuple(r) for r in Q.rooted_pagerank_roots(spark, folder).collect()) == sorted(by_sql(folder, "rooted_pagerank_roots"))
