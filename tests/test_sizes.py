@@ -177,3 +177,24 @@ def test_rooted_pagerank_writes_no_power(spark, tmp_path):
     assert found.keys() == joined.keys() and (5000, 5000) in found
     assert max(abs(found[k] - joined[k]) for k in found) < 1e-12
     assert sorted(tuple(r) for r in Q.rooted_pagerank_roots(spark, folder).collect()) == sorted(by_sql(folder, "rooted_pagerank_roots"))
+
+
+def test_feature_gradients_come_as_numbers(spark, monkeypatch):
+    from pyspark.sql.classic.dataframe import DataFrame
+
+    cooc = spark.createDataFrame([(a, (a * 3 + b) % 7, a + b + 1) for a in range(7) for b in range(3)], "node long, context long, cnt long")
+    content = spark.createDataFrame([(a, a, 1.0) for a in range(7)], "node long, feature long, value double")
+    cfg = Q.FitConfig(dim=2, draws_per_node=4)
+    ctx = Q.M.gather_contexts(cooc, content, 2)
+    model = Q.M.JointModel(cooc, content, cfg, ctx)
+    node_vec, s = Q.M.initial(cooc, ctx, cfg)
+
+    def refused(*_):
+        raise AssertionError("a row for each feature")
+
+    monkeypatch.setattr(DataFrame, "collect", refused)
+    g, loss, curve = model.feature_gradient(node_vec, s)
+    assert g.shape == (7, 2) and loss > 0 and curve > 0 and abs(g).min() > 0
+    d = 1e-5
+    change = model.feature_gradient(node_vec, s + d * g)[1] - model.feature_gradient(node_vec, s - d * g)[1]
+    assert abs(change / (2 * d) - (g**2).sum()) < 1e-4 * (g**2).sum()
