@@ -198,3 +198,14 @@ def test_feature_gradients_come_as_numbers(spark, monkeypatch):
     d = 1e-5
     change = model.feature_gradient(node_vec, s + d * g)[1] - model.feature_gradient(node_vec, s - d * g)[1]
     assert abs(change / (2 * d) - (g**2).sum()) < 1e-4 * (g**2).sum()
+
+
+def test_a_regression_has_one_small_task_a_step(spark, monkeypatch):
+    from pyspark.ml.classification import OneVsRest
+
+    v = spark.range(200, numPartitions=8).select((F.col("id")).alias("node"), F.array((F.col("id") % 2) * 2.0 - 1, F.sin(F.col("id"))).alias("w"))
+    labels = v.select("node", F.when(F.col("node") % 2 == 0, "a").otherwise("b").alias("label"))
+    seen, fit = [], OneVsRest.fit
+    monkeypatch.setattr(OneVsRest, "fit", lambda self, d, *a: (seen.append(d.rdd.getNumPartitions()), fit(self, d, *a))[1])
+    out = Q.E.one_vs_rest(v, Q.E.split_per_class(labels, 20, 100)).collect()
+    assert seen == [1] and len(out) == 100 and all(r.label == r.predicted for r in out)
