@@ -209,3 +209,11 @@ def test_a_regression_has_one_small_task_a_step(spark, monkeypatch):
     monkeypatch.setattr(OneVsRest, "fit", lambda self, d, *a: (seen.append(d.rdd.getNumPartitions()), fit(self, d, *a))[1])
     out = Q.E.one_vs_rest(v, Q.E.split_per_class(labels, 20, 100)).collect()
     assert seen == [1] and len(out) == 100 and all(r.label == r.predicted for r in out)
+
+
+def test_a_step_alone_makes_no_sums_for_a_loss_after_it(spark, tmp_path, monkeypatch):
+    folder, met = parts(spark, tmp_path, range(150)), []
+    monkeypatch.setattr(Q.M, "context_sums", lambda *a, f=Q.M.context_sums: met.append(1) or f(*a, slices=2))
+    monkeypatch.setattr(Q.M, "SUMMED_FROM", 1)
+    assert Q.one_node_step_d4(spark, folder).count() == 4 * 150
+    assert len(met) == 1
