@@ -211,6 +211,20 @@ def test_a_regression_has_one_small_task_a_step(spark, monkeypatch):
     assert seen == [1] and len(out) == 100 and all(r.label == r.predicted for r in out)
 
 
+def test_feature_gradients_summed_as_a_function(spark, tmp_path, monkeypatch):
+    folder, met = parts(spark, tmp_path, range(200)), []
+    monkeypatch.setattr(Q.M, "context_sums", lambda *a, f=Q.M.context_sums: met.append(1) or f(*a, slices=2))
+    _, _, _, model, node_vec, s = Q._four(spark, folder)
+    pairs = model.feature_gradient(node_vec, s)
+    assert not met
+    monkeypatch.setattr(Q.M, "SUMMED_FROM", 1)
+    sums = model.feature_gradient(node_vec, s)
+    assert met and abs(pairs[0] - sums[0]).max() < 1e-8 * abs(pairs[0]).max()
+    assert sums[1:] == pytest.approx(pairs[1:], rel=1e-9)
+    got, want = sorted(map(tuple, Q.grad_features_d4(spark, folder).collect())), sorted(by_sql(folder, "grad_features_d4"))
+    assert [r[:-1] for r in got] == [r[:-1] for r in want] and max(abs(a[-1] - b[-1]) for a, b in zip(got, want)) < 1.1e-5
+
+
 def test_a_step_alone_makes_no_sums_for_a_loss_after_it(spark, tmp_path, monkeypatch):
     folder, met = parts(spark, tmp_path, range(150)), []
     monkeypatch.setattr(Q.M, "context_sums", lambda *a, f=Q.M.context_sums: met.append(1) or f(*a, slices=2))
