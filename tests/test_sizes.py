@@ -231,3 +231,39 @@ def test_a_step_alone_makes_no_sums_for_a_loss_after_it(spark, tmp_path, monkeyp
     monkeypatch.setattr(Q.M, "SUMMED_FROM", 1)
     assert Q.one_node_step_d4(spark, folder).count() == 4 * 150
     assert len(met) == 1
+
+
+@pytest.mark.parametrize("few", [True, False])
+def test_products_with_links_write_no_column_of_all_entries(spark, monkeypatch, few):
+    import tracemalloc
+
+    import numpy as np
+
+    from blendgraph import links as L
+
+    r = np.random.default_rng(7)
+    rows, n = np.sort(r.integers(0, 50, 400_000)).astype(np.int32), 50
+    at, x = r.integers(0, n, len(rows)).astype(np.int32), r.normal(size=n)
+    p, values = (r.integers(0, 9, len(rows)).astype(np.uint8), r.random(9)) if few else (r.random(len(rows)), None)
+    monkeypatch.setattr(L, "BLOCK", 1000, raising=False)
+    made = L.Links(np.arange(n), np.searchsorted(rows, np.arange(n + 1)), at, p, values)
+    full = np.zeros((n, n))
+    np.add.at(full, (rows, at), made.entries())
+    tracemalloc.start()
+    found = made.times(x, rows), made.back(x, rows)
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert np.allclose(found[0], full @ x) and np.allclose(found[1], full.T @ x)
+    assert most < 8 * len(rows) / 10
+
+
+def test_links_are_gathered_as_numbers_of_their_values(spark, monkeypatch):
+    from blendgraph import links as L
+
+    t = spark.createDataFrame([(10 * a, 10 * ((a * b) % 6), (b + 1) / 7) for a in range(6) for b in range(1, 4) if a], "src long, dst long, p double").groupBy("src", "dst").agg(F.sum("p").alias("p"))
+    want = sorted((r.src, r.dst, r.p) for r in t.collect())
+    for most in (1 << 16, 1):
+        monkeypatch.setattr(L, "MOST_VALUES", most, raising=False)
+        got = L.gather_links(t)
+        assert sorted(zip(got.ids[got.rows].tolist(), got.ids[got.at].tolist(), got.entries().tolist())) == want
+        assert (got.p.itemsize == 1) == (most > 1) and (got.values is None) == (most == 1)
